@@ -8,6 +8,7 @@ from collections.abc import Iterator
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -139,3 +140,21 @@ def gather_spans(buffer: np.ndarray, starts: np.ndarray, lengths: np.ndarray) ->
     at = np.repeat(starts - (ends - lengths), lengths)
     at += np.arange(ends[-1])
     return buffer[at]
+
+
+def running_before(df: DataFrame, ws: Workspace, name: str, order: list, value: F.Column, out: str) -> DataFrame:
+    """Add `out`, the sum of `value` over all rows before each row in an order, without one global window.
+
+    Rows are range-partitioned and written once; only one sum a part goes to the driver.
+    """
+    spark = df.sparkSession
+    rows = df.withColumn("_v", value.cast("long")).repartitionByRange(*order).sortWithinPartitions(*order)
+    rows = ws.save(rows.withColumn("_part", F.spark_partition_id()), name)
+    sums = sorted((r["_part"], r["s"]) for r in rows.groupBy("_part").agg(F.sum("_v").alias("s")).collect())
+    offsets, total = [], 0
+    for part, s in sums:
+        offsets.append((part, total))
+        total += s
+    before = F.broadcast(spark.createDataFrame(offsets, schema(_part="int", _off="long")))
+    w = W.partitionBy("_part").orderBy(*order).rowsBetween(W.unboundedPreceding, -1)
+    return rows.join(before, "_part").withColumn(out, F.col("_off") + F.coalesce(F.sum("_v").over(w), F.lit(0))).drop("_v", "_off")

@@ -6,6 +6,8 @@ from importlib import import_module
 
 _MODULES = {
     "op1_pack": "packing",
+    "op2_mix": "mixing",
+    "op7_exact": "exact",
 }
 
 
@@ -14,4 +16,6 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from . import exact, mixing
+
+    return {"op2_mix": mixing.OP2_SQL, "op7_exact": exact.OP7_SQL}
