@@ -7,7 +7,9 @@ from importlib import import_module
 _MODULES = {
     "op1_pack": "packing",
     "op2_mix": "mixing",
+    "op5_token_store": "tokenstore",
     "op7_exact": "exact",
+    "op9_media": "media",
 }
 
 
