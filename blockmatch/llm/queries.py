@@ -9,6 +9,7 @@ _MODULES = {
     "op2_mix": "mixing",
     "op5_token_store": "tokenstore",
     "op7_exact": "exact",
+    "op8_near_duplicates": "hyperminhash",
     "op9_media": "media",
 }
 
