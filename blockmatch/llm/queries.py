@@ -8,6 +8,7 @@ _MODULES = {
     "op1_pack": "packing",
     "op2_mix": "mixing",
     "op5_token_store": "tokenstore",
+    "op6_substrings": "substrings",
     "op7_exact": "exact",
     "op8_near_duplicates": "hyperminhash",
     "op9_media": "media",
