@@ -7,11 +7,14 @@ from importlib import import_module
 _MODULES = {
     "op1_pack": "packing",
     "op2_mix": "mixing",
+    "op3_lines": "lines",
+    "op4_language": "langid",
     "op5_token_store": "tokenstore",
     "op6_substrings": "substrings",
     "op7_exact": "exact",
     "op8_near_duplicates": "hyperminhash",
     "op9_media": "media",
+    "op10_quality": "quality",
 }
 
 
@@ -20,6 +23,6 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    from . import exact, mixing
+    from . import exact, lines, mixing
 
-    return {"op2_mix": mixing.OP2_SQL, "op7_exact": exact.OP7_SQL}
+    return {"op2_mix": mixing.OP2_SQL, "op3_lines": lines.OP3_SQL, "op7_exact": exact.OP7_SQL}
