@@ -9,8 +9,6 @@ documents but the one with the smallest id.
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -45,10 +43,10 @@ def lanes(site: Column) -> list[Column]:
 
 def estimated(sketch: list[Column]) -> Column:
     """HyperLogLog estimate, with linear counting while registers are empty."""
-    marks = [F.shiftrightunsigned(c, LANE * k).bitwiseAND(F.lit((1 << LANE) - 1)) for c in sketch for k in range(64 // LANE)]
-    powers = [F.when(m == 0, 1.0).otherwise(F.pow(F.lit(2.0), -(F.floor(F.log2(m.cast("double"))) + 1))) for m in marks]
-    empty = reduce(lambda a, b: a + b, [(m == 0).cast("int") for m in marks])
-    raw = 0.697 * REGISTERS * REGISTERS / reduce(lambda a, b: a + b, powers)
+    marks = F.array(*[F.shiftrightunsigned(c, LANE * k).bitwiseAND(F.lit((1 << LANE) - 1)) for c in sketch for k in range(64 // LANE)])
+    power = lambda m: F.when(m == 0, 1.0).otherwise(F.pow(F.lit(2.0), -(F.floor(F.log2(m.cast("double"))) + 1)))
+    raw = 0.697 * REGISTERS * REGISTERS / F.aggregate(marks, F.lit(0.0), lambda a, m: a + power(m))
+    empty = F.size(F.filter(marks, lambda m: m == 0))
     return F.when((raw <= 2.5 * REGISTERS) & (empty > 0), REGISTERS * F.log(REGISTERS / empty)).otherwise(raw)
 
 
