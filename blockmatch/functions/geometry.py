@@ -45,41 +45,35 @@ def z_code(cx: Column, cy: Column, bits: int = 16) -> Column:
     return out
 
 
-def disc_interval(px: Column, py: Column, x0: float, y0: float, x1: float, y1: float, r: float) -> tuple[Column, Column]:
+def disc_interval(px: Column, py: Column, x0: Column, y0: Column, x1: Column, y1: Column, r: float) -> tuple[Column, Column]:
     """Part [low, high] of the segment (parameter 0 to 1) within r of the point; null if there is none."""
-    dx, dy = float(x1 - x0), float(y1 - y0)
-    fx, fy = F.lit(float(x0)) - px, F.lit(float(y0)) - py
+    dx, dy = (x1 - x0).cast("double"), (y1 - y0).cast("double")
+    fx, fy = (x0 - px).cast("double"), (y0 - py).cast("double")
     a, b, c = dx * dx + dy * dy, fx * dx + fy * dy, fx * fx + fy * fy - float(r) * float(r)
-    if a == 0:
-        inside = c <= 0
-        return F.when(inside, 0.0), F.when(inside, 1.0)
     root = b * b - a * c
     low = F.greatest((-b - F.sqrt(root)) / a, F.lit(0.0))
     high = F.least((-b + F.sqrt(root)) / a, F.lit(1.0))
-    hit = (root >= 0) & (low <= high)
-    return F.when(hit, low), F.when(hit, high)
+    hit = (a > 0) & (root >= 0) & (low <= high)
+    still = (a == 0) & (c <= 0)  # a segment without length
+    return F.when(hit, low).when(still, 0.0), F.when(hit, high).when(still, 1.0)
 
 
-def side_interval(ax: Column, ay: Column, bx: Column, by: Column, x0: float, y0: float, x1: float, y1: float, r: float) -> tuple[Column, Column]:
+def side_interval(ax: Column, ay: Column, bx: Column, by: Column, x0: Column, y0: Column, x1: Column, y1: Column, r: float) -> tuple[Column, Column]:
     """Part of the segment within r of a side: both end discs and the slab between; a capsule is convex, so it is one interval."""
     la, ha = disc_interval(ax, ay, x0, y0, x1, y1, r)
     lb, hb = disc_interval(bx, by, x0, y0, x1, y1, r)
     dx, dy = (bx - ax).cast("double"), (by - ay).cast("double")
     long2 = dx * dx + dy * dy
-    sx, sy = float(x1 - x0), float(y1 - y0)
-    low, high = F.lit(0.0), F.lit(1.0)
-    fits = F.lit(True)
-    # two linear conditions: place along the side in [0, long2], signed distance in [-r, r]
+    sx, sy = (x1 - x0).cast("double"), (y1 - y0).cast("double")
+    fx, fy = (x0 - ax).cast("double"), (y0 - ay).cast("double")
+    low, high, fits = F.lit(0.0), F.lit(1.0), F.lit(True)
     reach = F.sqrt(long2) * float(r)
-    for start, step, least, most in (
-        ((F.lit(float(x0)) - ax) * dx + (F.lit(float(y0)) - ay) * dy, dx * sx + dy * sy, F.lit(0.0), long2),
-        ((F.lit(float(x0)) - ax) * dy - (F.lit(float(y0)) - ay) * dx, dy * sx - dx * sy, -reach, reach),
-    ):
-        t0, t1 = (least - start) / step, (most - start) / step
+    # two linear conditions: place along the side in [0, long2], signed distance in [-r, r]
+    for start, step, least, most in ((fx * dx + fy * dy, dx * sx + dy * sy, F.lit(0.0), long2), (fx * dy - fy * dx, dy * sx - dx * sy, -reach, reach)):
         flat = step == 0
+        t0, t1 = F.when(~flat, (least - start) / step), F.when(~flat, (most - start) / step)
         low = F.when(flat, low).otherwise(F.greatest(low, F.least(t0, t1)))
         high = F.when(flat, high).otherwise(F.least(high, F.greatest(t0, t1)))
         fits = fits & (~flat | ((start >= least) & (start <= most)))
     hit = fits & (low <= high)
-    slab_low, slab_high = F.when(hit, low), F.when(hit, high)
-    return F.least(la, lb, slab_low), F.greatest(ha, hb, slab_high)
+    return F.least(la, lb, F.when(hit, low)), F.greatest(ha, hb, F.when(hit, high))

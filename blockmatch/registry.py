@@ -1,11 +1,638 @@
-"""Names of all queries of the engine and their DuckDB SQL."""
+"""All queries of the engine over the given tables, and their DuckDB SQL.
+
+Every query runs over whole tables with the default settings; a count that is part of a
+feature (15 query centres, ranks up to k) is the only limit. Artefacts are built once for
+a session and table folder.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from . import oracles as O
+from .functions import vectors
+from .functions.geometry import disc_interval
+from .operators import blocks as B
+from .operators import community as C
+from .operators import network as N
+from .operators import similarity as S
+from .params import SearchParams
+from .plans import corridor as K
+from .plans import ranked as R
+from .plans import workloads
+from .plans.artifacts import artifacts, net_a, net_b, query_homes
+from .sources.tables import Cuts, table
+from .streaming import events as E
+
+P = SearchParams()
+O.CHAIN["reach"] = "select vid, vid as seen from vertices union select e.b, r.seen from reach r join (select u as a, v as b from edges union all select v, u from edges) e on e.a = r.vid"
+Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+SQL: dict[str, str] = {}
+
+
+def query(sql: str | None = None):
+    """Register the function under its name, with the SQL that gives the same rows."""
+
+    def add(f):
+        Q[f.__name__] = f
+        if sql is not None:
+            SQL[f.__name__] = sql
+        return f
+
+    return add
+
+
+def same(name: str, as_name: str, f) -> None:
+    """Another way to the rows of a query that has SQL."""
+    Q[name] = f
+    if as_name in SQL:
+        SQL[name] = SQL[as_name]
+
+
+def spread_out(df: DataFrame, column: str, prefix: str, m: int, *keys: str) -> DataFrame:
+    return df.select(*keys, *[F.round(F.col(column)[i], 6).alias(f"{prefix}{i}") for i in range(m)])
+
+
+# -- networks --
+
+
+@query(O.chain("select * from vertices"))
+def net_vertices(spark, d):
+    return N.lattice_vertices(table(spark, d, "customer"), "c_custkey")
+
+
+@query(O.chain("select eid, u, v, round(len, 6) as len from edges"))
+def net_edges(spark, d):
+    return N.lattice_network(table(spark, d, "customer"), "c_custkey").edges.withColumn("len", F.round("len", 6))
+
+
+@query(O.chain("select (select count(*) from vertices) as vertices, (select count(*) from edges) as edges, (select sum(cnt)::bigint from edge_poi) as pois, (select count(distinct poi_type) from edge_poi) as poi_types, round(2.0 * (select count(*) from edges) / (select count(*) from vertices), 6) as avg_degree, round((select count(*) from edges)::double / (select count(*) from vertices), 6) as links_per_vertex"))
+def net_profile(spark, d):
+    net = net_a(spark, d)
+    v, e = net.vertices.agg(F.count("*").alias("vertices")), net.edges.agg(F.count("*").alias("edges"))
+    p = net.edge_poi.agg(F.sum("cnt").alias("pois"), F.count_distinct("poi_type").alias("poi_types"))
+    rows = v.crossJoin(F.broadcast(e)).crossJoin(F.broadcast(p))  # one row each
+    return rows.withColumns({"avg_degree": F.round(2.0 * F.col("edges") / F.col("vertices"), 6), "links_per_vertex": F.round(F.col("edges") / F.col("vertices"), 6)})
+
+
+@query(O.chain("select vid, min(seen) as comp from reach group by vid"))
+def net_components(spark, d):
+    net = N.lattice_network(table(spark, d, "customer"), "c_custkey")
+    return N.components(net.vertices, net.edges, Cuts(spark))
+
+
+@query()
+def generated_uniform(spark, d):
+    return N.generate_network(table(spark, d, "customer"), "c_custkey", "uniform").edges
+
+
+@query()
+def generated_cluster(spark, d):
+    return N.generate_network(table(spark, d, "customer"), "c_custkey", "cluster", seed_column="c_nationkey").edges
+
+
+@query(O.chain(f"select eid, {', '.join(f'vec[{i + 1}] as v{i}' for i in range(O.M))} from edge_vec"))
+def edge_poi_vectors(spark, d):
+    net = net_a(spark, d)
+    return spread_out(N.edge_vectors(net.edge_poi, net.m), "vec", "v", net.m, "eid")
+
+
+@query(O.chain("select eid, " + ", ".join(f"coalesce(sum(cnt) filter (poi_type = {i}), 0)::bigint as t{i}" for i in range(O.M)) + " from edge_poi group by eid"))
+def poi_type_pivot(spark, d):
+    rows = net_a(spark, d).edge_poi.groupBy("eid").pivot("poi_type", list(range(5))).agg(F.sum("cnt"))
+    return rows.na.fill(0).toDF("eid", *[f"t{i}" for i in range(5)])
+
+
+_METRO = {
+    "size": O.CHAIN["size"].replace("customer", "orders"),
+    "links": O.CHAIN["links"].replace("c_custkey", "o_orderkey").replace("customer", "orders"),
+    "vertices": O.CHAIN["vertices"].replace("c_custkey", "o_orderkey").replace("customer", "orders"),
+}
+
+
+@query(
+    f"with size as ({_METRO['size']}), vertices as ({_METRO['vertices']}), links as ({_METRO['links']}), edges as ({O.CHAIN['edges']}), incident as ({O.CHAIN['incident']}) "
+    "select i.eid, p_brand as poi_type, count(*) as cnt from lineitem join part on p_partkey = l_partkey join incident i on i.vid = l_orderkey and i.nth = (l_partkey + l_linenumber) % i.degree group by all"
+)
+def metro_poi_vectors(spark, d):
+    names = table(spark, d, "part").select("p_brand").distinct().orderBy("p_brand").withColumn("poi_type", (F.row_number().over(W.orderBy("p_brand")) - 1))  # a few brands
+    return net_b(spark, d).edge_poi.join(F.broadcast(names), "poi_type").select("eid", F.col("p_brand").alias("poi_type"), "cnt")
+
+
+# -- blocks --
+
+
+@query(O.chain("select hid, nxt from next1"))
+def half_edge_next(spark, d):
+    net = N.lattice_network(table(spark, d, "customer"), "c_custkey")
+    return B.link_half_edges(B.half_edges(net.vertices, net.edges))
+
+
+_VIDS = "list_aggregate(list_sort(vids)::varchar[], 'string_agg', ',')"
+
+
+def _sorted_vids() -> F.Column:
+    return F.concat_ws(",", F.array_sort("vids").cast("array<string>"))
+
+
+@query(O.chain(f"select bid, kind, n_sides, {_VIDS} as vids from blocks where kind > 2"))
+def block_rings(spark, d):
+    return artifacts(spark, d).blocks.filter("kind > 2").select("bid", "kind", "n_sides", _sorted_vids().alias("vids"))
+
+
+@query(O.chain(f"select bid, kind, n_sides, {_VIDS} as vids from blocks where kind = 2"))
+def block_bridges(spark, d):
+    return artifacts(spark, d).blocks.filter("kind = 2").select("bid", "kind", "n_sides", _sorted_vids().alias("vids"))
+
+
+@query(O.chain(f"select bid, kind, {O.flat('vec', 'v')}, {O.flat('uvec', 'u')} from bunit"))
+def block_vectors(spark, d):
+    a = artifacts(spark, d)
+    cols = [F.round(F.col(c)[i], 6).alias(f"{p}{i}") for c, p in (("vec", "v"), ("uvec", "u")) for i in range(a.m)]
+    return a.blocks.select("bid", "kind", *cols)
+
+
+@query(O.chain("select * from boxes"))
+def block_boxes(spark, d):
+    return artifacts(spark, d).blocks.select("bid", "xmin", "ymin", "xmax", "ymax")
+
+
+@query(O.chain("select kind, count(*) as n from blocks group by kind"))
+def block_kind_census(spark, d):
+    return artifacts(spark, d).blocks.groupBy("kind").agg(F.count("*").alias("n"))
+
+
+_WHERE = "from (select b.kind, r_name, n_name from blocks b join customer c on c.c_custkey = b.vids[1] join nation on n_nationkey = c_nationkey join region on r_regionkey = n_regionkey) t"
+
+
+def _census(spark, d):
+    """Blocks by region, nation and kind; a block counts where its first vertex lies."""
+    a = artifacts(spark, d)
+    rows = a.blocks.select("kind", F.col("vids")[0].alias("vid")).join(table(spark, d, "customer"), F.col("vid") == F.col("c_custkey"))
+    return rows.join(F.broadcast(table(spark, d, "nation")), F.col("n_nationkey") == F.col("c_nationkey")).join(F.broadcast(table(spark, d, "region")), F.col("r_regionkey") == F.col("n_regionkey"))
+
+
+@query(O.chain(f"select r_name, n_name, coalesce(kind, -1) as kind, count(*) as n {_WHERE} group by rollup (r_name, n_name, kind)"))
+def census_rollup(spark, d):
+    return _census(spark, d).rollup("r_name", "n_name", "kind").agg(F.count("*").alias("n")).na.fill({"kind": -1})
+
+
+@query(O.chain(f"select r_name, coalesce(kind, -1) as kind, count(*) as n {_WHERE} group by cube (r_name, kind)"))
+def census_cube(spark, d):
+    return _census(spark, d).cube("r_name", "kind").agg(F.count("*").alias("n")).na.fill({"kind": -1})
+
+
+@query(O.chain(f"select r_name, coalesce(kind, -1) as kind, count(*) as n {_WHERE} group by grouping sets ((r_name), (kind), ())"))
+def census_grouping_sets(spark, d):
+    return _census(spark, d).groupingSets([["r_name"], ["kind"], []], "r_name", "kind").agg(F.count("*").alias("n")).na.fill({"kind": -1})
+
+
+# -- communities --
+
+
+@query(O.chain("select * from members"))
+def members_grid(spark, d):
+    return artifacts(spark, d).members
+
+
+def _members_tree(spark, d):
+    a = artifacts(spark, d)
+    return C.members_tree(a.vertices, a.sides, a.nodes, a.leaves, a.radius)
+
+
+def _members_allpairs(spark, d):
+    a = artifacts(spark, d)
+    return C.members_allpairs(a.vertices, a.sides, a.radius)
+
+
+same("members_tree", "members_grid", _members_tree)
+same("members_allpairs", "members_grid", _members_allpairs)
+
+
+@query()
+def members_connected(spark, d):
+    a = artifacts(spark, d)
+    return C.connected_members(a.members, a.blocks, a.cut)
+
+
+@query(O.chain("select home, kind, cnt from stats"))
+def community_counts(spark, d):
+    return artifacts(spark, d).stats.select("home", "kind", "cnt")
+
+
+@query(O.chain(f"select home, kind, {O.flat('umax', 'u')}, {O.flat('cmax', 'c')} from stats"))
+def community_maxvec(spark, d):
+    a = artifacts(spark, d)
+    return a.stats.select("home", "kind", *[F.round(F.col(c)[i], 6).alias(f"{p}{i}") for c, p in (("umax", "u"), ("cmax", "c")) for i in range(a.m)])
+
+
+@query(O.chain("select * from bounds"))
+def block_count_bounds(spark, d):
+    return artifacts(spark, d).bounds
+
+
+@query(O.chain("""
+select home, sum(cnt)::bigint as blocks, round(coalesce(sum(cnt) filter (kind = 4), 0) / sum(cnt)::double, 6) as grid_share, round(coalesce(sum(cnt) filter (kind = 2), 0) / sum(cnt)::double, 6) as tree_share,
+       count(*) as kinds, round(abs(ln(sum(cnt)::double) - sum(cnt * ln(cnt::double)) / sum(cnt)), 6) as entropy from stats group by home"""))
+def motif_profile(spark, d):
+    rows = C.motif_profile(artifacts(spark, d).stats)
+    return rows.withColumns({"grid_share": F.round("grid_share", 6), "tree_share": F.round("tree_share", 6), "entropy": F.round(F.abs("entropy"), 6)})
+
+
+@query(O.chain(f"""
+select level, count(*) as nodes, sum(n)::bigint as blocks from (
+  select lvl.level, z >> (2 * lvl.level) as node_id, count(*) as n from (
+    select {' + '.join(f'(((cx >> {b}) % 2) << {2 * b}) + (((cy >> {b}) % 2) << {2 * b + 1})' for b in range(20))} as z
+    from (select (floor((xmin + xmax) / 4000.0) - min(floor((xmin + xmax) / 4000.0)) over ())::bigint as cx, (floor((ymin + ymax) / 4000.0) - min(floor((ymin + ymax) / 4000.0)) over ())::bigint as cy from boxes)
+  ) c, (select unnest(range(11)) as level) lvl group by all) group by level qualify level = 0 or lag(nodes) over (order by level) > 1"""))
+def tree_levels(spark, d):
+    rows = artifacts(spark, d).nodes.groupBy("level").agg(F.count("*").alias("nodes"), F.sum("n_blocks").alias("blocks"))
+    return rows.withColumn("level", F.col("level").cast("long"))
+
+
+@query()
+def node_summary(spark, d):
+    a = artifacts(spark, d)
+    return a.nodes.select("level", "node_id", "xmin", "ymin", "xmax", "ymax", "n_blocks", F.concat_ws("", F.transform("poi_bits", lambda b: F.when(b, "1").otherwise("0"))).alias("poi_bits"))
+
+
+@query()
+def node_count_bounds(spark, d):
+    rows = artifacts(spark, d).nodes.select("level", "node_id", F.explode("kinds").alias("e"))
+    return rows.select("level", "node_id", "e.kind", "e.min_cnt", "e.max_cnt")
+
+
+# -- similarity and bounds --
+
+
+def _scores(spark, d, params: SearchParams, parts=("sim",)):
+    a = artifacts(spark, d)
+    return S.scores(a.stats, S.query_stats(a.stats, query_homes(a)), params, parts)
+
+
+def _rounded(rows, *names):
+    return rows.select("qid", "home", *[F.round(n, 6).alias(n) for n in names])
+
+
+@query(O.chain("select qid, home, round(sim, 6) as sim from sims"))
+def sim_factored(spark, d):
+    return _rounded(_scores(spark, d, P), "sim")
+
+
+def _pairwise(spark, d, **changes):
+    a = artifacts(spark, d)
+    return _rounded(S.pairwise(a.members, a.blocks, query_homes(a), P.but(**changes)), "sim")
+
+
+same("sim_pairwise", "sim_factored", lambda spark, d: _pairwise(spark, d))
+
+
+@query(O.chain("select qid, home, round(raw, 6) as sim from sims"))
+def sim_raw_dot(spark, d):
+    return _rounded(_scores(spark, d, P.but(normalize=False)), "sim")
+
+
+@query(O.chain("select qid, home, round(pairs, 6) as sim from sims"))
+def sim_pairs_denominator(spark, d):
+    return _rounded(_scores(spark, d, P.but(denominator="pairs")), "sim")
 
-def queries() -> dict:
-    return {}
+
+for _bound in ("printed", "safe", "tight"):
+    Q[f"bound_{_bound}"] = lambda spark, d, b=_bound: _rounded(_scores(spark, d, P, (b,)), b)
+    SQL[f"bound_{_bound}"] = O.chain(f"select qid, home, round({_bound}, 6) as {_bound} from ubs")
+
+
+@query(O.chain("""
+select qid, count(*) as homes, count(*) filter (printed < sim - 1e-9) as printed_below, count(*) filter (safe < sim - 1e-9) as safe_below, count(*) filter (tight < sim - 1e-9) as tight_below,
+       round(avg(safe - sim), 6) as safe_slack, round(avg(tight - sim), 6) as tight_slack, count(*) filter (printed < 0.6 and sim >= 0.6) as printed_lost
+from sims join ubs using (qid, home) group by qid"""))
+def bound_audit(spark, d):
+    a = artifacts(spark, d)
+    return R.bound_audit(a, query_homes(a), P)
+
+
+@query(O.chain("select qid, home from ubs where safe < 0.6 - 1e-12"))
+def pruned_by_bound(spark, d):
+    return _scores(spark, d, P, ("safe",)).filter(F.col("safe") < P.theta - 1e-12).select("qid", "home")
+
+
+@query(O.chain("select qid, bid from cands"))
+def candidate_blocks(spark, d):
+    a = artifacts(spark, d)
+    return S.candidate_blocks(a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P)
+
+
+def _candidate_tree(spark, d):
+    a = artifacts(spark, d)
+    return S.retrieve(a.nodes, a.leaves, a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P, a.cut)[0]
+
+
+same("candidate_blocks_tree", "candidate_blocks", _candidate_tree)
+
+
+@query(O.chain("select qid, home from named"))
+def candidate_homes(spark, d):
+    return S.candidate_homes(candidate_blocks(spark, d), artifacts(spark, d).members)
+
+
+@query()
+def traversal_visits(spark, d):
+    a = artifacts(spark, d)
+    return S.retrieve(a.nodes, a.leaves, a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P, a.cut)[1]
+
+
+# -- ranked search --
+
+
+def _search(f, **changes):
+    def run(spark, d):
+        a = artifacts(spark, d)
+        return f(a, query_homes(a), P.but(**changes))
+
+    return run
+
+
+@query(O.chain(O.ANSWER.format("ranked")))
+def ranked_search_many(spark, d):
+    return _search(R.ranked_search)(spark, d)
+
+
+for _name, _f in {
+    "ranked_search": _search(R.ranked_search, bound="tight"),
+    "ranked_search_tree": _search(R.ranked_search, use_tree=True),
+    "ranked_search_no_candidates": _search(R.ranked_search, use_candidates=False),
+    "ranked_search_no_bound": _search(R.ranked_search, bound="none"),
+    "ranked_search_global_count": _search(R.ranked_search, count_scope="global"),
+    "scan_baseline": _search(R.scan_baseline),
+    "enumerate_baseline": _search(R.enumerate_baseline),
+}.items():
+    same(_name, "ranked_search_many", _f)
+
+
+def _one(f):
+    def run(spark, d):
+        a = artifacts(spark, d)
+        home = query_homes(a, 1).first()["home"]
+        return f(a, home)
+
+    return run
+
+
+def _wide(a, home):
+    rows = R.wide_search(a, home, P)
+    return rows.select(F.lit(0).alias("qid"), F.row_number().over(W.orderBy("d2", "home")).alias("rank"), "home", F.round("sim", 6).alias("sim"), F.round(F.sqrt(F.col("d2").cast("double")), 6).alias("dist"))  # k rows
+
+
+_FIRST = O.chain(O.ANSWER.format("ranked") + " and qid = 0")
+Q["ranked_search_ring"] = _one(lambda a, h: R.ring_search(a, h, P))
+Q["ranked_search_wide"] = _one(_wide)
+SQL["ranked_search_ring"] = SQL["ranked_search_wide"] = _FIRST
+Q["ranked_search_elsewhere"] = _search(R.ranked_search, anchor_xy=(5000, 5000))
+SQL["ranked_search_elsewhere"] = O.chain("select qid, rank::int as rank, home, round(sim, 6) as sim, round(sqrt(d2::double), 6) as dist from (select s.qid, row_number() over (partition by s.qid order by (v.x - 5000) * (v.x - 5000) + (v.y - 5000) * (v.y - 5000), s.home) as rank, s.home, s.sim, (v.x - 5000) * (v.x - 5000) + (v.y - 5000) * (v.y - 5000) as d2 from sims s join vertices v on v.vid = s.home where s.sim >= 0.6) where rank <= 10")
+Q["ranked_search_exclude_home"] = _search(R.ranked_search, exclude_home=True)
+SQL["ranked_search_exclude_home"] = O.chain(O.ANSWER.format("(select p.qid, row_number() over (partition by p.qid order by d2, p.home) as rank, p.home, sim, d2 from placed p join centres c on c.qid = p.qid where sim >= 0.6 and p.home <> c.home)"))
+
+
+@query(O.chain("""
+select qid, count(*) as total, count(*) filter (why = 'candidate') as candidate, count(*) filter (why = 'bound') as bound, count(*) filter (why = 'distance') as distance, count(*) filter (why = 'score') as score, count(*) filter (why = 'answer') as answer,
+       round(100.0 * count(*) filter (why in ('candidate', 'bound', 'distance')) / count(*), 4) as pruned_all,
+       coalesce(round(100.0 * count(*) filter (why in ('bound', 'distance')) / nullif(count(*) filter (why <> 'candidate'), 0), 4), 0.0) as pruned_nominated
+from (
+  select c.qid, h.home, case when n.home is null then 'candidate' when coalesce(u.safe, 0) < 0.6 - 1e-12 then 'bound'
+         when coalesce(f.found >= 10 and (v.x - c.qx) * (v.x - c.qx) + (v.y - c.qy) * (v.y - c.qy) > f.far, false) then 'distance' when not coalesce(s.sim >= 0.6, false) then 'score' else 'answer' end as why
+  from centres c, (select distinct home from stats) h join vertices v on v.vid = h.home
+  left join named n on n.qid = c.qid and n.home = h.home left join ubs u on u.qid = c.qid and u.home = h.home left join sims s on s.qid = c.qid and s.home = h.home
+  left join (select qid, count(*) as found, max(d2) as far from ranked where rank <= 10 group by qid) f on f.qid = c.qid
+) group by qid"""))
+def pruning_report(spark, d):
+    a = artifacts(spark, d)
+    return R.pruning_report(a, query_homes(a), P)
+
+
+# -- corridor (vertex reach: discs around vertices) --
+
+_SEG = f"(select qid as sid, qx as x0, qy as y0, qx + round(cos(radians(({O.spread('home', 98, 360)})::double)) * 4000)::bigint as x1, qy + round(sin(radians(({O.spread('home', 98, 360)})::double)) * 4000)::bigint as y1 from centres)"
+_C = {
+    "segs": f"select * from {_SEG}",
+    "discs": """
+    select sid, bid, greatest((-b - sqrt(b * b - a * c)) / a, 0.0) as low, least((-b + sqrt(b * b - a * c)) / a, 1.0) as high from (
+      select s.sid, k.bid, ((s.x1 - s.x0) ** 2 + (s.y1 - s.y0) ** 2)::double as a, ((s.x0 - v.x) * (s.x1 - s.x0) + (s.y0 - v.y) * (s.y1 - s.y0))::double as b, ((s.x0 - v.x) ** 2 + (s.y0 - v.y) ** 2)::double - 1e6 as c
+      from segs s, (select bid, unnest(vids) as vid from blocks) k join vertices v on v.vid = k.vid)
+    where b * b - a * c >= 0 and greatest((-b - sqrt(b * b - a * c)) / a, 0.0) <= least((-b + sqrt(b * b - a * c)) / a, 1.0)""",
+    "united": """
+    select sid, bid, min(low) as low, max(high) as high from (
+      select *, sum(fresh) over (partition by sid, bid order by low, high rows unbounded preceding) as island from (
+        select *, coalesce((low > max(high) over (partition by sid, bid order by low, high rows between unbounded preceding and 1 preceding))::int, 1) as fresh from discs)) group by sid, bid, island""",
+    "marks": "select distinct sid, round(t, 9) as t from (select sid, low as t from united union all select sid, high from united union all select sid, 0.0 from segs union all select sid, 1.0 from segs)",
+    "ivls": "select * from (select sid, row_number() over (partition by sid order by t) - 1 as ivl, t as t_lo, lead(t) over (partition by sid order by t) as t_hi from marks) where t_hi is not null",
+    "inside": "select distinct i.sid, i.ivl, u.bid from ivls i join united u on u.sid = i.sid and u.low <= (i.t_lo + i.t_hi) / 2 and (i.t_lo + i.t_hi) / 2 < u.high",
+    "ivl_asked": "select i.sid, i.ivl, b.kind, b.uvec, count(*) over (partition by i.sid, i.ivl, b.kind) as q_cnt from inside i join bunit b on b.bid = i.bid",
+    "ivl_kinds": "select sid, ivl, count(distinct kind) as n_kinds from ivl_asked group by sid, ivl",
+    "ivl_pairs": f"select a.sid, a.ivl, o.home, sum({O._dot('o.uvec', 'a.uvec')} / a.q_cnt / n.n_kinds) as sim from own o join ivl_asked a on a.kind = o.kind join ivl_kinds n on n.sid = a.sid and n.ivl = a.ivl group by all",
+    "ivl_ranked": "select p.sid, p.ivl, row_number() over (partition by p.sid, p.ivl order by (v.x - s.x0) * (v.x - s.x0) + (v.y - s.y0) * (v.y - s.y0), p.home) as rank, p.home, p.sim, (v.x - s.x0) * (v.x - s.x0) + (v.y - s.y0) * (v.y - s.y0) as d2 from ivl_pairs p join vertices v on v.vid = p.home join segs s on s.sid = p.sid where p.sim >= 0.6",
+}
+O.CHAIN.update(_C)
+
+
+def _corridor(spark, d):
+    a = artifacts(spark, d)
+    seg = K.query_segments(a)
+    return a, seg, a.cut.cut(K.merge_intervals(K.raw_intervals(a, seg, a.radius, "vertex")), "merged")
+
+
+@query(O.chain("select sid, bid, round(low, 6) as low, round(high, 6) as high from discs"))
+def disc_intervals(spark, d):
+    a = artifacts(spark, d)
+    rows = K.raw_intervals(a, K.query_segments(a), a.radius, "vertex")
+    return rows.select("sid", "bid", F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
+
+
+@query(O.chain("select distinct sid, bid from discs"))
+def sweep_blocks(spark, d):
+    a = artifacts(spark, d)
+    return K.raw_intervals(a, K.query_segments(a), a.radius, "vertex").select("sid", "bid").distinct()
+
+
+@query(O.chain("select sid, bid, round(low, 6) as low, round(high, 6) as high from united"))
+def merged_intervals(spark, d):
+    return _corridor(spark, d)[2].select("sid", "bid", F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
+
+
+@query(O.chain("select sid, ivl, round(t_lo, 6) as t_lo, round(t_hi, 6) as t_hi from ivls"))
+def split_points(spark, d):
+    a, seg, merged = _corridor(spark, d)
+    return K.split_segment(seg, merged).select("sid", F.col("ivl").cast("long").alias("ivl"), F.round("t_lo", 6).alias("t_lo"), F.round("t_hi", 6).alias("t_hi"))
+
+
+@query(O.chain("select sid, ivl, bid from inside"))
+def interval_blocks_contain(spark, d):
+    a, seg, merged = _corridor(spark, d)
+    return K.interval_blocks(K.split_segment(seg, merged), merged, "contain").withColumn("ivl", F.col("ivl").cast("long"))
+
+
+def _delta(spark, d):
+    a, seg, merged = _corridor(spark, d)
+    return K.interval_blocks(K.split_segment(seg, merged), merged, "delta").select("sid", F.col("ivl").cast("long").alias("ivl"), "bid")
+
+
+same("interval_blocks_delta", "interval_blocks_contain", _delta)
+_IVL_ANSWER = "select sid, ivl::int as ivl, rank::int as rank, home, round(sim, 6) as sim, round(sqrt(d2::double), 6) as dist from ivl_ranked where rank <= 10"
+
+
+@query(O.chain(_IVL_ANSWER))
+def corridor_search(spark, d):
+    a = artifacts(spark, d)
+    return K.corridor_search(a, K.query_segments(a), P, "vertex")
+
+
+def _corridor_baseline(spark, d):
+    a = artifacts(spark, d)
+    return K.corridor_baseline(a, K.query_segments(a), P, "vertex")
+
+
+def _corridor_tree(spark, d):
+    a = artifacts(spark, d)
+    return K.corridor_search(a, K.query_segments(a), P.but(use_tree=True, bound="tight"), "vertex", "delta")
+
+
+same("corridor_baseline", "corridor_search", _corridor_baseline)
+same("corridor_search_tree", "corridor_search", _corridor_tree)
+
+
+@query()
+def corridor_boundary(spark, d):
+    a = artifacts(spark, d)
+    return K.corridor_search(a, K.query_segments(a), P, "boundary")
+
+
+@query(O.chain("""
+select sid, min(ivl) as first_ivl, max(ivl) as last_ivl, any_value(homes) as homes from (
+  select *, sum(fresh) over (partition by sid order by ivl) as run from (
+    select *, coalesce(homes <> lag(homes) over (partition by sid order by ivl) or ivl <> lag(ivl) over (partition by sid order by ivl) + 1, true)::int as fresh
+    from (select sid, ivl, string_agg(home::varchar, ',' order by rank) as homes from ivl_ranked where rank <= 10 group by sid, ivl))) group by sid, run"""))
+def corridor_folded(spark, d):
+    rows = K.fold_intervals(corridor_search(spark, d))
+    return rows.select("sid", F.col("first_ivl").cast("long").alias("first_ivl"), F.col("last_ivl").cast("long").alias("last_ivl"), "homes")
+
+
+# -- relational forms around the searches --
+
+
+@query(O.chain("select qid, home, d2, count(*) over (partition by qid order by d2 range between 25000000 preceding and current row) as ring from placed where sim >= 0.6"))
+def distance_rings(spark, d):
+    a = artifacts(spark, d)
+    rows = R.qualified(a, query_homes(a), P.but(bound="none", use_candidates=False))
+    return rows.select("qid", "home", "d2", F.count("*").over(W.partitionBy("qid").orderBy("d2").rangeBetween(-25000000, 0)).alias("ring"))
+
+
+@query(O.chain("select vid from vertices where vid not in (select u from edges) and vid not in (select v from edges)"))
+def isolated_vertices(spark, d):
+    net = N.lattice_network(table(spark, d, "customer"), "c_custkey")
+    return net.vertices.select("vid").join(N.incident(net.edges).select("vid"), "vid", "left_anti")
+
+
+@query(O.chain("select distinct home from members where bid in (select bid from cands)"))
+def candidate_semi(spark, d):
+    return artifacts(spark, d).members.join(candidate_blocks(spark, d).select("bid"), "bid", "left_semi").select("home").distinct()
+
+
+@query(O.chain("select coalesce(a.kind, b.kind) as kind, a.n as in_queries, b.n as in_network from (select kind, count(*) as n from asked group by kind) a full outer join (select kind, count(*) as n from blocks group by kind) b on a.kind = b.kind"))
+def kinds_full_outer(spark, d):
+    a = artifacts(spark, d)
+    asked = S.query_stats(a.stats, query_homes(a)).groupBy("kind").agg(F.count("*").alias("in_queries"))
+    return asked.join(a.blocks.groupBy("kind").agg(F.count("*").alias("in_network")), "kind", "full_outer").select("kind", "in_queries", "in_network")
+
+
+def _set_op(op: str):
+    def run(spark, d):
+        a = artifacts(spark, d)
+        q = query_homes(a)
+        one, two = R.ranked_search(a, q, P).select("qid", "home"), R.ranked_search(a, q, P.but(theta=1.0)).select("qid", "home")
+        return getattr(one, op)(two)
+
+    return run
+
+
+_TOP = "select qid, home from (select qid, home, row_number() over (partition by qid order by d2, home) as r from placed where sim >= {}) where r <= 10"
+for _op, _word in (("exceptAll", "except all"), ("intersect", "intersect")):
+    _key = "answers_except" if _op == "exceptAll" else "answers_intersect"
+    Q[_key] = _set_op(_op)
+    SQL[_key] = O.chain(f"{_TOP.format(0.6)} {_word} {_TOP.format(1.0)}")
+
+
+# -- events and embeddings --
+
+
+@query("""
+select p.event_id, p.user_id, arg_max(e.event_id, (e.ts, e.event_id)) as seen from events p join events e on e.user_id = p.user_id and e.event_type = 'view' and e.ts <= p.ts
+where p.event_type = 'purchase' group by p.event_id, p.user_id
+union all select event_id, user_id, -1 from events p where event_type = 'purchase' and not exists (select 1 from events e where e.user_id = p.user_id and e.event_type = 'view' and e.ts <= p.ts)""")
+def event_vertex_asof(spark, d):
+    """As-of: the last view of the user at each purchase, by one ordered pass over each user's events."""
+    w = W.partitionBy("user_id").orderBy("ts", F.col("event_type") == "purchase", "event_id").rowsBetween(W.unboundedPreceding, 0)
+    rows = table(spark, d, "events").filter("event_type in ('view', 'purchase')")
+    rows = rows.withColumn("seen", F.last(F.when(F.col("event_type") == "view", F.col("event_id")), ignorenulls=True).over(w))
+    return rows.filter("event_type = 'purchase'").select("event_id", "user_id", F.coalesce("seen", F.lit(-1)).alias("seen"))
+
+
+def _as_text(rows: DataFrame) -> DataFrame:
+    return rows.withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm:ss.SSSSSS"))
+
+
+@query("select strftime(time_bucket(interval '1 day', ts, timestamp '1970-01-01'), '%Y-%m-%d %H:%M:%S.%f') as start, user_id, event_type, count(*) as cnt from events group by all")
+def poi_tumbling(spark, d):
+    return _as_text(E.poi_activity(table(spark, d, "events")))
+
+
+@query("select strftime(time_bucket(interval '1 day', ts, timestamp '1970-01-01') - k * interval '1 day', '%Y-%m-%d %H:%M:%S.%f') as start, user_id, event_type, count(*) as cnt from events, (select unnest(range(7)) as k) group by all")
+def poi_sliding(spark, d):
+    return _as_text(E.poi_activity(table(spark, d, "events"), "7 days", "1 day"))
+
+
+@query("""
+select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S.%f') as start, count(*) as cnt, arg_min(event_id, (ts, event_id)) as first_event, arg_max(event_id, (ts, event_id)) as last_event from (
+  select *, sum(fresh) over (partition by user_id order by ts, event_id) as trip from (
+    select *, coalesce((ts >= lag(ts) over (partition by user_id order by ts, event_id) + interval '12 hours')::int, 1) as fresh from events)) group by user_id, trip""")
+def trip_sessions(spark, d):
+    return _as_text(E.trips(table(spark, d, "events")))
+
+
+@query("select v.event_id as v_id, p.event_id as p_id, v.user_id from events v join events p on v.user_id = p.user_id and p.ts >= v.ts and p.ts <= v.ts + interval '1 day' where v.event_type = 'view' and p.event_type = 'purchase'")
+def views_then_purchases(spark, d):
+    return E.views_then_purchases(table(spark, d, "events"))
+
+
+@query("select event_type, sum(cast(json_extract(props, '$.k') as bigint))::bigint as k_sum, count(*) as n from events group by event_type")
+def event_props_json(spark, d):
+    rows = table(spark, d, "events").select("event_type", F.from_json("props", "k long")["k"].alias("k"))
+    return rows.groupBy("event_type").agg(F.sum("k").alias("k_sum"), F.count("*").alias("n"))
+
+
+@query("""
+select vec_id, round(cos, 5) as cos from (
+  select e.vec_id, list_sum(list_transform(list_zip(e.embedding, q.embedding), lambda x: x[1]::double * x[2]::double)) / sqrt(list_sum(list_transform(e.embedding, lambda x: x::double * x::double)) * list_sum(list_transform(q.embedding, lambda x: x::double * x::double))) as cos
+  from embeddings e, (select embedding from embeddings where vec_id = 0) q) order by cos desc, vec_id limit 10""")
+def embedding_cosine_topk(spark, d):
+    rows = table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
+    q = F.array(*[F.lit(float(v)) for v in rows.filter("vec_id = 0").first()["e"]])
+    return rows.select("vec_id", vectors.cosine(F.col("e"), q).alias("cos")).orderBy(F.desc("cos"), "vec_id").limit(10).withColumn("cos", F.round("cos", 5))
+
+
+# -- measures over the parameter sweeps --
+
+Q |= workloads.queries()
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(Q)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(SQL)
+
+
+__all__ = ["disc_interval", "oracle_sql", "queries"]
