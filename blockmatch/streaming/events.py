@@ -10,31 +10,28 @@ from pyspark.sql import functions as F
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def stream_events(spark: SparkSession, folder: str, per_trigger: int = 1) -> DataFrame:
-    """A file stream of events Parquet with a fixed schema."""
-    return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", per_trigger).parquet(folder)
+def stream_events(spark: SparkSession, folder: str, per_trigger: int = 1, delay: str = "1 day") -> DataFrame:
+    """A file stream of events Parquet with a fixed schema; times become instants, with the one watermark of all that follows."""
+    rows = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", per_trigger).parquet(folder)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
 
 
-def once(events: DataFrame, delay: str = "1 day") -> DataFrame:
+def once(events: DataFrame) -> DataFrame:
     """Each event once; on a stream, duplicates within the watermark are dropped and later rows are counted as late."""
     if events.isStreaming:
-        return events.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
+        return events.dropDuplicatesWithinWatermark(["event_id"])
     return events.dropDuplicates(["event_id"])
 
 
-def poi_activity(events: DataFrame, width: str = "1 day", slide: str | None = None, delay: str = "1 day") -> DataFrame:
+def poi_activity(events: DataFrame, width: str = "1 day", slide: str | None = None) -> DataFrame:
     """Arrivals by vertex (user_id), type and window; tumbling, or sliding if `slide` is given."""
-    if events.isStreaming:
-        events = events.withWatermark("ts", delay)
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
     rows = events.groupBy(w.alias("w"), "user_id", "event_type").agg(F.count("*").alias("cnt"))
     return rows.select(F.col("w.start").alias("start"), "user_id", "event_type", "cnt")
 
 
-def trips(events: DataFrame, gap: str = "12 hours", delay: str = "1 day") -> DataFrame:
+def trips(events: DataFrame, gap: str = "12 hours") -> DataFrame:
     """Sessions of a user with their first and last event."""
-    if events.isStreaming:
-        events = events.withWatermark("ts", delay)
     rows = events.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("cnt"), F.min_by("event_id", F.struct("ts", "event_id")).alias("first_event"), F.max_by("event_id", F.struct("ts", "event_id")).alias("last_event"))
     return rows.select("user_id", F.col("w.start").alias("start"), "cnt", "first_event", "last_event")
 
@@ -42,8 +39,6 @@ def trips(events: DataFrame, gap: str = "12 hours", delay: str = "1 day") -> Dat
 def views_then_purchases(events: DataFrame, within: str = "1 day") -> DataFrame:
     """Purchases up to a day after a view of the same user; a stream-stream interval join on streams."""
     v, p = (events.filter(F.col("event_type") == t).select(F.col("event_id").alias(f"{n}_id"), F.col("user_id").alias(f"{n}_user"), F.col("ts").alias(f"{n}_ts")) for t, n in (("view", "v"), ("purchase", "p")))
-    if events.isStreaming:
-        v, p = v.withWatermark("v_ts", within), p.withWatermark("p_ts", within)
     near = (F.col("v_user") == F.col("p_user")) & (F.col("p_ts") >= F.col("v_ts")) & (F.col("p_ts") <= F.col("v_ts") + F.expr(f"interval {within}"))
     return v.join(p, near).select("v_id", "p_id", F.col("v_user").alias("user_id"))
 
