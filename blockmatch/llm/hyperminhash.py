@@ -7,7 +7,7 @@ Jaccard similarity at any set size. Bands of four registers propose pairs, the
 collision-corrected estimate drops hopeless ones, and full shingle sets confirm a link.
 
 No all-pairs step: documents with equal sets are one class with one representative. In a
-band's bucket, rounds pick hubs (1, then 2, 4, ... a round); every member of another
+band's bucket, rounds pick hubs (1, then 8, 64, 512 a round); every member of another
 component meets the hubs, hubs leave, and a bucket is done when its rest is one component.
 So each pair that shares a band is compared unless it is already connected, and a bucket of
 copies costs one comparison a member. Components come from label passing with pointer
@@ -25,6 +25,7 @@ from functools import cache
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import Workspace, blocks, documents, mix, schema, span_hashes, text_or_empty, word_spans
@@ -32,9 +33,13 @@ from .common import Workspace, blocks, documents, mix, schema, span_hashes, text
 SHINGLE, THRESHOLD = 5, 75
 BUCKETS, MANTISSA, ROWS = 128, 10, 4
 BANDS = BUCKETS // ROWS
+#: Sets up to this size are compared by bitmaps and whole fingerprints before verification.
+SMALL = 256
+MARKS = ("n", *(f"s{k}" for k in range(8)))
 #: Ids up to this number are sent to the tasks (8 bytes each); beyond it tables meet by a shuffle.
 BROADCAST_IDS = 1_000_000
-MOST_HUBS = 64
+#: Hubs of a bucket in each round; the last number goes on.
+HUBS = (1, 8, 64, 512)
 
 
 def lower_ascii(buffer: np.ndarray) -> np.ndarray:
@@ -80,6 +85,42 @@ def registers_of(sets: list[np.ndarray]) -> np.ndarray:
     return out.astype(np.uint16).reshape(-1, BUCKETS)
 
 
+def signatures(sets: list[np.ndarray], registers: np.ndarray) -> np.ndarray:
+    """Eight longs a set, for the test of `may_link`: a bitmap of a small set's shingles, else four bits of each register."""
+    out = np.zeros((len(sets), 64), np.uint8)
+    for row, s in zip(out, sets):
+        if len(s) <= SMALL:
+            at = (s & np.uint64(511)).astype(np.int64)
+            np.bitwise_or.at(row, at >> 3, (1 << (at & 7)).astype(np.uint8))
+    big = np.array([len(s) > SMALL for s in sets], bool)
+    low = (registers & 15).astype(np.uint8)
+    out[big] = (low[big, 0::2] << 4) | low[big, 1::2]
+    return out.view("<i8")
+
+
+def may_link(a: str, b: str) -> F.Column:
+    """Whether two rows (n, s0 .. s7 behind a prefix) can reach the threshold; runs inside the join.
+
+    Sizes: exact. Bitmaps of two small sets: each shingle in one set alone changes one bit
+    at most, so more changed bits than such shingles allow rule a link out, exactly.
+    Registers of two large sets: agreement below five standard deviations rules it out.
+    """
+    n_a, n_b = F.col(f"{a}n"), F.col(f"{b}n")
+    x = [F.col(f"{a}s{k}").bitwiseXOR(F.col(f"{b}s{k}")) for k in range(8)]
+    bits = F.bit_count(x[0])
+    nibble = lambda v: F.bit_count(v.bitwiseOR(F.shiftrightunsigned(v, 1)).bitwiseOR(F.shiftrightunsigned(v, 2)).bitwiseOR(F.shiftrightunsigned(v, 3)).bitwiseAND(F.lit(0x1111111111111111)))
+    apart = nibble(x[0])
+    for v in x[1:]:
+        bits, apart = bits + F.bit_count(v), apart + nibble(v)
+    t = THRESHOLD / 100
+    agree = t + (1 - t) / 16
+    least = BUCKETS * (agree - 5 * (agree * (1 - agree) / BUCKETS) ** 0.5)
+    small = (n_a <= SMALL) & (n_b <= SMALL)
+    large = (n_a > SMALL) & (n_b > SMALL)
+    sizes = 100 * F.least(n_a, n_b) >= THRESHOLD * F.greatest(n_a, n_b)
+    return sizes & (~small | (bits * (100 + THRESHOLD) <= (n_a + n_b) * (100 - THRESHOLD))) & (~large | (BUCKETS - apart >= least))
+
+
 @cache
 def _collisions() -> np.ndarray:
     """Chance that two unrelated sets agree in a register, by log2 of their loads a bucket (-7 to 16)."""
@@ -98,8 +139,8 @@ def estimate(a: np.ndarray, b: np.ndarray, n_a: np.ndarray, n_b: np.ndarray) ->
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, set_id (digest of the set), registers; the last two null for empty sets."""
-    out = schema(doc_id="long", n_shingles="long", set_id="binary", registers="binary")
+    """doc_id, n_shingles, set_id (digest of the set), registers, signature; the last three null for empty sets."""
+    out = schema(doc_id="long", n_shingles="long", set_id="binary", registers="binary", signature="array<long>")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -107,10 +148,12 @@ def sketches(docs: DataFrame) -> DataFrame:
             for part in blocks(texts, [len(t) for t in texts], 2_000_000):
                 sets = shingle_sets(texts[part])
                 full = [s for s in sets if len(s)]
-                regs = iter(registers_of(full))
+                table = registers_of(full)
+                regs, marks = iter(table), iter(signatures(full, table).tolist())
                 set_id = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
                 reg = [next(regs).tobytes() if len(s) else None for s in sets]
-                yield pa.RecordBatch.from_arrays([pa.array(ids[part], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(set_id, pa.binary()), pa.array(reg, pa.binary())], names=out.names)
+                mark = [next(marks) if len(s) else None for s in sets]
+                yield pa.RecordBatch.from_arrays([pa.array(ids[part], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(set_id, pa.binary()), pa.array(reg, pa.binary()), pa.array(mark, pa.list_(pa.int64()))], names=out.names)
 
     return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(run, out)
 
@@ -176,18 +219,19 @@ def confirmed(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 def components(links: DataFrame, ws: Workspace, name: str) -> DataFrame:
     """node, comp (least node reachable) of a written table of links a, b."""
     edges = ws.save(links.select("a", "b").union(links.select("b", "a")).distinct(), f"{name}-edges")
-    labels = ws.save(edges.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("comp"), F.lit(True).alias("moved")), f"{name}-0")
+    labels = edges.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("comp"))
     turn = 0
-    while labels.filter("moved").take(1):
-        turn += 1
+    while True:
         near = edges.join(labels.select(F.col("node").alias("b"), "comp"), "b").groupBy(F.col("a").alias("node")).agg(F.min("comp").alias("near"))
         step = labels.select("node", F.col("comp").alias("was")).join(near, "node").select("node", "was", F.least("was", "near").alias("to"))
         jump = labels.select(F.col("node").alias("to"), F.col("comp").alias("far"))
         step = step.join(jump, "to", "left").select("node", F.least("to", F.coalesce("far", "to")).alias("comp"), "was")
         labels = ws.save(step.select("node", "comp", (F.col("comp") < F.col("was")).alias("moved")), f"{name}-{turn}")
+        if not labels.filter("moved").take(1):
+            return labels.select("node", "comp")
         if turn > 1:
             ws.drop(f"{name}-{turn - 2}")
-    return labels.select("node", "comp")
+        turn += 1
 
 
 def link_components(docs: DataFrame, reps: DataFrame, ws: Workspace) -> DataFrame:
@@ -195,21 +239,28 @@ def link_components(docs: DataFrame, reps: DataFrame, ws: Workspace) -> DataFram
     spark = docs.sparkSession
     key = F.transform(F.sequence(F.lit(0), F.lit(BANDS - 1)), lambda i: F.xxhash64(i, F.col("registers").substr(i * (2 * ROWS) + 1, F.lit(2 * ROWS))))
     rows = reps.select(F.col("rep"), F.explode(key).alias("key"))
-    labels, sets, hubs, turn = None, None, 1, 0
+    labels, sets, found, turn = None, None, None, 0
     while True:
         if labels is None:
             rows = rows.withColumn("comp", F.col("rep"))
         else:
             rows = rows.join(labels.select(F.col("node").alias("rep"), "comp"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
-        order = [F.xxhash64(F.lit(turn * MOST_HUBS + k), F.col("rep")) for k in range(hubs)]
-        aggs = [f(F.col(c), o).alias(f"{c}{k}") for k, o in enumerate(order) for c, f in (("rep", F.min_by), ("comp", F.min_by))]
-        at = rows.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high"), *aggs).filter("low < high")
-        at = at.select("key", F.array_distinct(F.array(*[F.struct(F.col(f"rep{k}").alias("rep"), F.col(f"comp{k}").alias("comp")) for k in range(hubs)])).alias("hubs"))
-        active = ws.save(rows.join(at, "key"), f"active{turn}", compression="zstd")
-        met = active.select("rep", "comp", F.explode("hubs").alias("hub")).filter("hub.comp <> comp and hub.rep <> rep")
-        pairs = ws.save(met.select(F.least("rep", "hub.rep").alias("a"), F.greatest("rep", "hub.rep").alias("b")).distinct(), f"pairs{turn}")
+        mixed = rows.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low < high").select("key")
+        if turn == 0:  # signatures travel only with rows whose bucket has work
+            marks = reps.select("rep", F.col("n_shingles").alias("n"), *[F.col("signature")[k].alias(f"s{k}") for k in range(8)])
+            rows = rows.join(mixed, "key", "left_semi").join(marks, "rep")
+        else:
+            rows = rows.join(mixed, "key", "left_semi")
+        active = ws.save(rows, f"active{turn}", compression="zstd")
+        # copies mostly come after their original: the smallest id first, later any
+        first = [F.xxhash64(F.lit(turn), "rep")] if turn else []
+        place = F.row_number().over(W.partitionBy("key").orderBy(*first, "rep"))
+        hubs = active.withColumn("place", place).filter(F.col("place") <= HUBS[min(turn, len(HUBS) - 1)])  # limited in each task first
+        sent = hubs.select("key", F.col("rep").alias("hub"), F.col("comp").alias("hub_comp"), *[F.col(c).alias(f"hub_{c}") for c in MARKS])
+        met = active.join(sent, (active["key"] == sent["key"]) & (F.col("hub_comp") != F.col("comp")) & may_link("", "hub_"))
+        pairs = ws.save(met.select(F.least("rep", "hub").alias("a"), F.greatest("rep", "hub").alias("b")).distinct(), f"pairs{turn}")
         if not pairs.take(1):
-            return labels if labels is not None else spark.createDataFrame([], schema(node="long", comp="long"))
+            break
         if sets is None:  # of all that share a bucket with another set
             wanted = ws.save(active.select("rep").distinct(), "wanted")
             sets = ws.save(_sets(only(docs, "doc_id", wanted)), "sets")
@@ -217,18 +268,11 @@ def link_components(docs: DataFrame, reps: DataFrame, ws: Workspace) -> DataFram
         ends = ws.save(near.select("a").union(near.select("b")).distinct(), f"ends{turn}")
         links = ws.save(confirmed(near, only(sets, "rep", ends)), f"links{turn}")
         if links.take(1):
-            if labels is None:
-                labels = components(links, ws, f"comp{turn}")
-            else:  # components of components
-                old = ws.save(labels, f"old{turn}")
-                side = lambda k: old.select(F.col("node").alias(k), F.col("comp").alias(f"c_{k}"))
-                joined = links.join(side("a"), "a", "left").join(side("b"), "b", "left").select(F.coalesce("c_a", "a").alias("a"), F.coalesce("c_b", "b").alias("b")).filter("a <> b").distinct()
-                top = components(ws.save(joined, f"joined{turn}"), ws, f"comp{turn}")
-                moved = old.join(top.select(F.col("node").alias("comp"), F.col("comp").alias("to")), "comp", "left").select("node", F.coalesce("to", "comp").alias("comp"))
-                new = top.join(old.select("node"), "node", "left_anti")
-                labels = ws.save(moved.unionByName(new), f"labels{turn}")
-        rows = active.filter("not exists(hubs, h -> h.rep = rep)").select("key", "rep")
-        turn, hubs = turn + 1, min(2 * hubs, MOST_HUBS)
+            found = links if found is None else found.unionByName(links)
+            labels = components(found, ws, f"comp{turn}")
+        rows = active.select("key", "rep", *MARKS).join(hubs.select("key", "rep"), ["key", "rep"], "left_anti")
+        turn += 1
+    return labels if labels is not None else spark.createDataFrame([], schema(node="long", comp="long"))
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
@@ -242,7 +286,7 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     docs = docs.select("doc_id", "text")
     found = ws.save(sketches(docs), "sketches", compression="zstd")
     full = found.filter("n_shingles > 0")
-    reps = ws.save(full.groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n_shingles"), F.first("registers").alias("registers")), "reps", compression="zstd")
+    reps = ws.save(full.groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n_shingles"), F.first("registers").alias("registers"), F.first("signature").alias("signature")), "reps", compression="zstd")
     labels = link_components(docs, reps.drop("set_id").dropDuplicates(["rep"]), ws)
     classes = reps.select("set_id", "rep").join(labels.select(F.col("node").alias("rep"), "comp"), "rep", "left").select("set_id", F.coalesce("comp", "rep").alias("comp"))
     out = found.select("doc_id", "n_shingles", "set_id").join(classes, "set_id", "left")
