@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from .common import blocks, documents, fold, schema, text_or_empty
 
 #: Bound of the fitting sample: labelled documents, and characters of each that is used.
-SAMPLE_DOCS, SAMPLE_CHARS = 4000, 20_000
+SAMPLE_DOCS, SAMPLE_CHARS = 3000, 10_000
 #: Tokens with a vector (the most frequent of the sample), dimensions, hidden units, signs in an index vector.
 VOCABULARY, DIMS, HIDDEN, SIGNS = 20_000, 64, 16, 6
 THRESHOLD = 0.7
@@ -106,23 +106,25 @@ class Model:
 
 def word_vectors(texts: list[str], seed: int = 11) -> tuple[dict[str, int], np.ndarray]:
     """Random indexing over the texts: token numbers and their vectors."""
-    streams, count = [], Counter()
-    for text in texts:
-        words, last, stream = text.split(), None, []
-        for w in words:
-            stream.append([*tokens_of(w), *([SAME] if w == last else [])])
+    def stream(text: str) -> Iterator[list[str]]:
+        last = None
+        for w in text.split():
+            yield [*tokens_of(w), *([SAME] if w == last else [])]
             last = w
-        streams.append(stream)
-        count.update(t for row in stream for t in row if t)
+
+    count: Counter = Counter()
+    for text in texts:  # two passes, so that one text's tokens are held at a time
+        count.update(t for row in stream(text) for t in row if t)
     names = {t: k for k, (t, _) in enumerate(sorted(count.items(), key=lambda x: (-x[1], x[0]))[:VOCABULARY])}
     rng = np.random.default_rng(seed)
     index = np.zeros((len(names), DIMS), np.float32)
     for row in index:
         row[rng.choice(DIMS, SIGNS, replace=False)] = rng.choice((-1.0, 1.0), SIGNS)
     vectors = index * 4
-    for stream in streams:
-        slot, token = [], []
-        for i, row in enumerate(stream):
+    for text in texts:
+        slot, token, n = [], [], 0
+        for i, row in enumerate(stream(text)):
+            n = i + 1
             for t in row:
                 if t in names:
                     slot.append(i)
@@ -130,7 +132,7 @@ def word_vectors(texts: list[str], seed: int = 11) -> tuple[dict[str, int], np.n
         if not token:
             continue
         slot, token = np.array(slot), np.array(token)
-        sums = np.zeros((len(stream) + 4, DIMS), np.float32)
+        sums = np.zeros((n + 4, DIMS), np.float32)
         np.add.at(sums, slot + 2, index[token])
         around = sums[:-4] + sums[1:-3] + sums[2:-2] + sums[3:-1] + sums[4:]
         np.add.at(vectors, token, around[slot] / 5)
@@ -150,7 +152,7 @@ def fit_quality(rows: list[tuple[str, int]], seed: int = 5) -> Model:
         odds = np.log((share + 0.01) / (1.01 - share))
         return Model(names, np.zeros((len(names) + 1, HIDDEN), np.float32), np.zeros(HIDDEN), np.array([0.0] * HIDDEN + [odds]), 1.0)
     plain = Model(names, np.vstack((vectors, np.zeros((1, DIMS), np.float32))), np.zeros(DIMS), np.zeros(DIMS + 1), 1.0)
-    x = np.concatenate([plain.pooled(texts[i : i + 200]) for i in range(0, len(texts), 200)])
+    x = np.concatenate([plain.pooled(texts[i : i + 20]) for i in range(0, len(texts), 20)])
     scale = x.std(axis=0) + 1e-6
     mean = x.mean(axis=0)
     z = (x - mean) / scale
