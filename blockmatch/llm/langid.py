@@ -24,7 +24,7 @@ from .common import blocks, documents, fold, mix, schema
 
 GRAM = 4
 #: Bound of the fitting sample: documents, and characters of each that is used.
-SAMPLE_DOCS, SAMPLE_CHARS = 4000, 20_000
+SAMPLE_DOCS, SAMPLE_CHARS = 2000, 10_000
 SLOTS, PROBES = 1 << 20, 4
 #: An n-gram is kept for a language in whose documents it is this frequent, absolutely and against its best language.
 MIN_SHARE, MIN_RATIO = 0.02, 0.2
