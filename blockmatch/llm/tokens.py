@@ -9,7 +9,7 @@ always cuts, so the result equals encoding the whole text:
   before a blank between two characters that aren't white space. A text in
   which a piece is empty or touches other white space is encoded whole.
 
-The caches of pieces and of bare words are emptied when they reach `most` entries, so memory is bounded.
+The caches of pieces and of bare words are emptied at `most` entries, so memory is bounded.
 """
 
 from __future__ import annotations
@@ -36,14 +36,38 @@ _LETTERS = _byte_letters()
 
 
 class _Table(dict):
-    def __init__(self, learn):
-        self.learn = learn
+    """Row of each piece; row 0 says that its text must be encoded whole."""
+
+    def __init__(self, owner: PieceEncoder, blank: str):
+        self.owner, self.blank, self.cores = owner, blank, {}
 
     def __missing__(self, piece: str) -> int:
-        self[piece] = at = self.learn(piece)
+        owner = self.owner
+        core = piece.rstrip(_TAIL)
+        ids = self.cores.get(core)  # holds bare words only, so what is behind is tail signs
+        if ids is None:
+            ids = owner.learn(piece, core, self)
+            if ids is None:
+                self[piece] = 0
+                return 0
+        elif len(core) < len(piece):
+            ids += owner.tails[piece[len(core) :]]
+        owner.flat.frombytes(ids)
+        starts = owner.starts
+        starts.append(len(owner.flat))
+        self[piece] = at = len(starts) - 2
         return at
 
 
+class _Tails(dict):
+    def __init__(self, owner: PieceEncoder):
+        self.owner = owner
+
+    def __missing__(self, tail: str) -> bytes:
+        self[tail] = ids = self.owner.pack(self.owner.whole(tail))
+        return ids
+
+
 class PieceEncoder:
     def __init__(self, path: str, most: int = 700_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -55,76 +79,77 @@ class PieceEncoder:
         self.model = self.tokenizer.model
         self.keeps_space = self.tokenizer.normalizer is None
         self.kind = "H" if self.tokenizer.get_vocab_size() < 1 << 16 else "I"
+        self.inner, self.first, self.tails = _Table(self, " "), _Table(self, ""), _Tails(self)
         self.clear()
 
     def clear(self) -> None:
         self.flat, self.starts = array(self.kind), array("q", [0, 0])
-        self.inner, self.first = _Table(lambda w: self._learn(w, " ")), _Table(lambda w: self._learn(w, ""))
-        if len(getattr(self, "cores", ())) > self.most or not hasattr(self, "cores"):
-            self.cores: dict[str, bytes] = {}
+        for table in (self.inner, self.first):
+            table.clear()
+            if len(table.cores) > self.most:
+                table.cores.clear()
+        self.tails.clear()
 
-    def _bytes(self, ids: list[int]) -> bytes:
+    def pack(self, ids: list[int]) -> bytes:
         return array(self.kind, ids).tobytes()
 
     def whole(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
 
-    def _core(self, word: str, blank: str) -> bytes:
-        """Ids of a word without line breaks, behind a blank or not."""
-        core = word.rstrip(_TAIL)
+    def _word(self, core: str, table: _Table) -> bytes | None:
+        """Ids of a bare word; None if it isn't one."""
         if not core.isalpha():
-            return self._bytes(self.whole(blank + word))
-        key = blank + core if self.keeps_space else core.lower()
-        ids = self.cores.get(key)
-        if ids is None:
-            if core.isascii():
-                letters = key.replace(" ", "Ġ")
-            elif max(core) < "\u0250" and key.lstrip().isalpha() and is_normalized("NFC", core):
-                letters = key.encode().decode("latin-1").translate(_LETTERS)
-            else:
-                return self._bytes(self.whole(blank + word))
-            ids = self.cores[key] = self._bytes([t.id for t in self.model.tokenize(letters)])
-        if len(core) < len(word):
-            tail = "\0" + word[len(core) :]
-            more = self.cores.get(tail)
-            if more is None:
-                more = self.cores[tail] = self._bytes(self.whole(tail[1:]))
-            ids += more
+            return None
+        key = table.blank + core if self.keeps_space else core.lower()
+        if core.isascii():
+            letters = key.replace(" ", "Ġ")
+        elif max(core) < "\u0250" and key.lstrip().isalpha() and is_normalized("NFC", core):
+            letters = key.encode().decode("latin-1").translate(_LETTERS)
+        else:
+            return None
+        table.cores[core] = ids = self.pack([t.id for t in self.model.tokenize(letters)])
         return ids
 
-    def _learn(self, piece: str, blank: str) -> int:
-        """Row of a new piece; row 0 says that its text must be encoded whole."""
-        if self.keeps_space:
-            if not piece or piece[0].isspace() or piece[-1].isspace():
-                return 0
-            parts = piece.split("\n")
-            if any(not p or p[0].isspace() or p[-1].isspace() for p in parts):
-                ids = self._bytes(self.whole(blank + piece))
-            else:
-                ids = self._core(parts[0], blank)
-                for p in parts[1:]:
-                    ids += self._core("\n", "") + self._core(p, "")
-        else:
-            ids = self._core(piece, "") if piece else b""
-        self.flat.frombytes(ids)
-        self.starts.append(len(self.flat))
-        return len(self.starts) - 2
+    def learn(self, piece: str, core: str, table: _Table) -> bytes | None:
+        """Ids of a piece whose bare word is new; None if its text must be encoded whole."""
+        ids = self._word(core, table)
+        if ids is not None:
+            return ids + self.tails[piece[len(core) :]] if len(core) < len(piece) else ids
+        if not self.keeps_space:
+            return self.pack(self.whole(piece)) if piece else b""
+        if not piece or piece[0].isspace() or piece[-1].isspace():
+            return None
+        parts = piece.split("\n")
+        if len(parts) == 1 or any(not p or p[0].isspace() or p[-1].isspace() for p in parts):
+            return self.pack(self.whole(table.blank + piece))
+        ids, line = b"", self.tails["\n"]
+        for k, part in enumerate(parts):
+            own = self.first if k else table
+            core = part.rstrip(_TAIL)
+            word = own.cores.get(core) or self._word(core, own)
+            if word is None:
+                word = self.pack(self.whole(part if k else own.blank + part))
+            elif len(core) < len(part):
+                word += self.tails[part[len(core) :]]
+            ids += line + word if k else word
+        return ids
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of each text as unsigned 32-bit integers."""
         if len(self.starts) > self.most:
             self.clear()
-        rows, sizes = [], []
+        rows, sizes = array("q"), []
         for text in texts:
             if self.keeps_space:
                 parts = text.split(" ")
-                row = [self.first[parts[0]]] if text else []
-                row += map(self.inner.__getitem__, parts[1:])
+                if text:
+                    rows.append(self.first[parts[0]])
+                    del parts[0]
+                    rows.extend(map(self.inner.__getitem__, parts))
             else:
-                row = list(map(self.first.__getitem__, text.replace("\n", " ").split(" ")))
-            rows += row
-            sizes.append(len(row))
-        row, size = np.array(rows, np.int64), np.array(sizes, np.int64)
+                rows.extend(map(self.first.__getitem__, text.replace("\n", " ").split(" ")))
+            sizes.append(len(rows))
+        row, size = np.frombuffer(rows, np.int64), np.diff(np.array(sizes, np.int64), prepend=0)
         flat, start = np.frombuffer(self.flat, self.kind), np.frombuffer(self.starts, np.int64)
         low = start[row]
         n = start[row + 1] - low if len(row) else row

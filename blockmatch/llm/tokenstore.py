@@ -28,30 +28,38 @@ from .packing import vocabulary_path
 from .tokens import encoder
 
 #: Chunking: window of ids, mean, least and greatest chunk.
-WINDOW, MEAN, LEAST, MOST = 16, 512, 64, 4096
+WINDOW, MEAN, LEAST, MOST = 8, 512, 64, 4096
 #: Digests that a task remembers as sent; beyond it the set starts anew (the store removes the copies).
 REMEMBER = 300_000
 SEGMENT = 4096
 
 
-def cut_points(ids: np.ndarray, window: int = WINDOW, mean: int = MEAN, least: int = LEAST, most: int = MOST) -> list[int]:
-    """Ends of the chunks of an id stream; they depend on near-by ids only."""
-    n = len(ids)
-    if n <= least:
-        return [n]
-    h, code = np.zeros(n, np.uint64), mix(ids.astype(np.uint64))
-    for k in range(window):  # rolling: the hash at i mixes ids i-window+1 .. i
-        h[k:] += code[: n - k] * np.uint64(pow(0x9E3779B97F4A7C15, k, 2**64))
-    marks = np.flatnonzero((mix(h) & np.uint64(mean - 1)) == 0) + 1
-    out, last = [], 0
-    for m in [*marks.tolist(), n]:
-        while m - last > most:
-            last += most
-            out.append(last)
-        if m - last >= least or m == n:
-            last = m
-            out.append(m)
-    return out if out[-1] == n else [*out, n]
+_CODES = (mix(np.arange(1 << 16, dtype=np.uint64), 2) >> np.uint64(32)).astype(np.uint32)
+
+
+def cut_points(streams: list[np.ndarray], window: int = WINDOW, mean: int = MEAN, least: int = LEAST, most: int = MOST) -> list[list[int]]:
+    """Ends of the chunks of each id stream; they depend on near-by ids only."""
+    size = np.array([len(s) for s in streams])
+    high = np.cumsum(size)
+    code = _CODES[np.concatenate(streams) & np.uint32(0xFFFF)]
+    h = code.copy()
+    for k in range(1, min(window, least)):  # rolling: the hash at an id covers the window up to it; a mark within `least` of a start never counts
+        h[k:] += code[: len(code) - k] * np.uint32(pow(0x9E3779B1, k, 2**32))
+    marks = np.flatnonzero(((h >> np.uint32(11)) & np.uint32(mean - 1)) == 0) + 1
+    out = []
+    for low, n, part in zip((high - size).tolist(), size.tolist(), np.split(marks, np.searchsorted(marks, high[:-1], side="right"))):
+        ends, last = [], 0
+        for m in [*(part - low).tolist(), n]:
+            while m - last > most:
+                last += most
+                ends.append(last)
+            if m - last >= least or m == n:
+                ends.append(m)
+                last = m
+            if m == n:
+                break
+        out.append(ends)
+    return out
 
 
 def encoded(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
@@ -64,13 +72,13 @@ def encoded(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
         for batch in batches:
             docs_, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for part in blocks(texts, [len(t) for t in texts], 2_000_000):
-                rows = []
-                for doc, ids in zip(docs_[part], enc.encode(texts[part])):
-                    ids = np.append(ids, np.uint32(end_id))
-                    raw = ids.astype(np.dtype("<u2" if enc.kind == "H" else "<u4"))
+                rows, width = [], 2 if enc.kind == "H" else 4
+                streams = [np.append(ids, np.uint32(end_id)) for ids in enc.encode(texts[part])]
+                for doc, ids, ends in zip(docs_[part], streams, cut_points(streams)):
+                    raw = ids.astype(f"<u{width}").tobytes()
                     digests, fresh, low = [], [], 0
-                    for high in cut_points(ids):
-                        data = raw[low:high].tobytes()
+                    for high in ends:
+                        data = raw[low * width : high * width]
                         digests.append(key := hashlib.sha256(data).digest())
                         if key not in seen:
                             seen.add(key)
