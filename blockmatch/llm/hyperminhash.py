@@ -252,6 +252,10 @@ def link_components(docs: DataFrame, reps: DataFrame, ws: Workspace) -> DataFram
         else:
             rows = rows.join(mixed, "key", "left_semi")
         active = ws.save(rows, f"active{turn}", compression="zstd")
+        if turn:
+            ws.drop(f"active{turn - 1}")
+        if not active.take(1):  # every bucket is one component
+            break
         # copies mostly come after their original: the smallest id first, later any
         first = [F.xxhash64(F.lit(turn), "rep")] if turn else []
         place = F.row_number().over(W.partitionBy("key").orderBy(*first, "rep"))
@@ -259,17 +263,17 @@ def link_components(docs: DataFrame, reps: DataFrame, ws: Workspace) -> DataFram
         sent = hubs.select("key", F.col("rep").alias("hub"), F.col("comp").alias("hub_comp"), *[F.col(c).alias(f"hub_{c}") for c in MARKS])
         met = active.join(sent, (active["key"] == sent["key"]) & (F.col("hub_comp") != F.col("comp")) & may_link("", "hub_"))
         pairs = ws.save(met.select(F.least("rep", "hub").alias("a"), F.greatest("rep", "hub").alias("b")).distinct(), f"pairs{turn}")
-        if not pairs.take(1):
-            break
-        if sets is None:  # of all that share a bucket with another set
-            wanted = ws.save(active.select("rep").distinct(), "wanted")
-            sets = ws.save(_sets(only(docs, "doc_id", wanted)), "sets")
-        near = ws.save(likely(pairs, reps), f"likely{turn}")
-        ends = ws.save(near.select("a").union(near.select("b")).distinct(), f"ends{turn}")
-        links = ws.save(confirmed(near, only(sets, "rep", ends)), f"links{turn}")
-        if links.take(1):
-            found = links if found is None else found.unionByName(links)
-            labels = components(found, ws, f"comp{turn}")
+        # a round whose hubs can link with nothing settles its hubs only
+        if pairs.take(1):
+            if sets is None:  # of all that share a bucket with another set
+                wanted = ws.save(active.select("rep").distinct(), "wanted")
+                sets = ws.save(_sets(only(docs, "doc_id", wanted)), "sets")
+            near = ws.save(likely(pairs, reps), f"likely{turn}")
+            ends = ws.save(near.select("a").union(near.select("b")).distinct(), f"ends{turn}")
+            links = ws.save(confirmed(near, only(sets, "rep", ends)), f"links{turn}")
+            if links.take(1):
+                found = links if found is None else found.unionByName(links)
+                labels = components(found, ws, f"comp{turn}")
         rows = active.select("key", "rep", *MARKS).join(hubs.select("key", "rep"), ["key", "rep"], "left_anti")
         turn += 1
     return labels if labels is not None else spark.createDataFrame([], schema(node="long", comp="long"))
