@@ -6,7 +6,7 @@ sparse random index vectors of the tokens near it over the sample, centred and s
 document's vector is the mean over its tokens; a two-layer network in numpy gives a
 probability, whose temperature is set on a part of the sample left out of training.
 
-Fitting reads a bounded sample of labelled documents. Scoring reads every whole text; the
+Fitting reads the whole texts of a bounded sample of labelled documents. Scoring reads every whole text; the
 first layer is folded into the token table, so a word costs one look-up.
 """
 
@@ -24,8 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import blocks, documents, fold, schema, text_or_empty
 
-#: Bound of the fitting sample: labelled documents, and characters of each that is used.
-SAMPLE_DOCS, SAMPLE_CHARS = 3000, 10_000
+#: Bound of the fitting sample: labelled documents, each with its whole text.
+SAMPLE_DOCS = 3000
 #: Tokens with a vector (the most frequent of the sample), dimensions, hidden units, signs in an index vector.
 VOCABULARY, DIMS, HIDDEN, SIGNS = 20_000, 64, 16, 6
 THRESHOLD = 0.7
@@ -152,7 +152,7 @@ def fit_quality(rows: list[tuple[str, int]], seed: int = 5) -> Model:
         odds = np.log((share + 0.01) / (1.01 - share))
         return Model(names, np.zeros((len(names) + 1, HIDDEN), np.float32), np.zeros(HIDDEN), np.array([0.0] * HIDDEN + [odds]), 1.0)
     plain = Model(names, np.vstack((vectors, np.zeros((1, DIMS), np.float32))), np.zeros(DIMS), np.zeros(DIMS + 1), 1.0)
-    x = np.concatenate([plain.pooled(texts[i : i + 20]) for i in range(0, len(texts), 20)])
+    x = np.concatenate([plain.pooled(texts[part]) for part in blocks(texts, [len(t) for t in texts], 200_000)])
     scale = x.std(axis=0) + 1e-6
     mean = x.mean(axis=0)
     z = (x - mean) / scale
@@ -191,7 +191,7 @@ def fit_from(docs: DataFrame, labels: DataFrame, learn: F.Column) -> Model:
     """Fit on the labelled documents of `learn` with the smallest hash of their id, SAMPLE_DOCS at most."""
     labels = labels.filter("quality is not null").groupBy("doc_id").agg(F.max("quality").alias("quality"))
     ids = labels.filter(learn).orderBy(F.xxhash64("doc_id", F.lit(23)), "doc_id").limit(SAMPLE_DOCS).select(F.col("doc_id").alias("_id"), "quality")
-    rows = docs.select("doc_id", F.substring(text_or_empty(), 1, SAMPLE_CHARS).alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("_id"))
+    rows = docs.select("doc_id", text_or_empty().alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("_id"))
     rows = rows.select("doc_id", "text", "quality").limit(2 * SAMPLE_DOCS).collect()
     return fit_quality([(r["text"], r["quality"]) for r in sorted(rows, key=lambda r: (r["doc_id"], r["text"]))])
 

@@ -2,7 +2,9 @@
 
 import random
 
-from blockmatch.llm import hyperminhash
+from pyspark.sql import functions as F
+
+from blockmatch.llm import hyperminhash, quality
 
 
 def test_near_duplicates_behind_hubs_without_links(spark):
@@ -13,3 +15,16 @@ def test_near_duplicates_behind_hubs_without_links(spark):
     data += [(100, " ".join(base)), (101, " ".join([*base[:-1], "changed"]))]
     got = hyperminhash.near_duplicates(spark.createDataFrame(data, "doc_id long, text string").repartition(3)).collect()
     assert {x["doc_id"]: x["component_id"] for x in got} == {i: min(i, 100) for i, _ in data}
+
+
+def test_quality_learns_from_what_stands_far_behind(spark):
+    """Good and bad texts differ after 12,000 characters only."""
+    r = random.Random(4)
+    clean = lambda n: " ".join(r.choices(["alpha", "beta", "gamma", "delta", "omega"], k=n))
+    data = [(i, clean(2600) + " " + (clean(2600) if i % 2 else " ".join(["JUNK!!"] * 2600))) for i in range(60)]
+    assert all(len(t[: t.find("JUNK")]) > 12_000 for i, t in data if not i % 2)
+    docs = spark.createDataFrame(data, "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id long, quality int")
+    model = quality.fit_from(docs, labels, F.lit(True))
+    got = {x["doc_id"]: x["score"] for x in quality.score_documents(docs, model).collect()}
+    assert all((got[i] >= 0.7) == bool(i % 2) for i in range(40, 60)), got
