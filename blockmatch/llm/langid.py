@@ -4,7 +4,7 @@ All languages share one table: a slot holds one bit a language, and and-ing an n
 slots gives at once the mask of the languages whose filter contains it. A document's
 per-language popcounts, corrected for each filter's false positives, decide.
 
-Fitting reads a bounded sample of documents with a known language; the filters' size is a
+Fitting reads the whole texts of a bounded sample of documents of each known language; the filters' size is a
 parameter, so what is sent to the tasks doesn't grow with the corpus. Prediction reads
 every whole text, in blocks.
 """
@@ -18,13 +18,14 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import blocks, documents, fold, mix, schema
 
 GRAM = 4
-#: Bound of the fitting sample: documents, and characters of each that is used.
-SAMPLE_DOCS, SAMPLE_CHARS = 2000, 10_000
+#: Bound of the fitting sample: documents of each language, with their whole texts.
+SAMPLE_DOCS = 2000
 SLOTS, PROBES = 1 << 20, 4
 #: An n-gram is kept for a language in whose documents it is this frequent, absolutely and against its best language.
 MIN_SHARE, MIN_RATIO = 0.02, 0.2
@@ -108,15 +109,20 @@ class SlicedFilters:
 
 
 def sample_rows(docs: DataFrame, learn: F.Column, most: int = SAMPLE_DOCS) -> DataFrame:
-    """A bounded sample: the documents with the smallest hash among those that may be learned from."""
-    ids = docs.filter(learn).select("doc_id").orderBy(F.xxhash64("doc_id", F.lit(17)), "doc_id").limit(most).select(F.col("doc_id").alias("_id"))
+    """A bounded sample: of each language the documents with the smallest hash among those that may be learned from."""
+    rows = docs.filter(learn).select("lang", F.col("doc_id").alias("_id"), F.xxhash64("doc_id", F.lit(17)).alias("_hash")).distinct()
+    size = rows.groupBy("lang").agg(F.count("*").alias("_n"))
+    # a language's share of hashes that holds its `most` smallest by ten standard deviations, so that its window stays small
+    near = F.col("_hash") / 2.0**64 + 0.5 <= (most + 10 * most**0.5) / F.col("_n")
+    place = F.row_number().over(W.partitionBy("lang").orderBy("_hash", "_id"))
+    ids = rows.join(F.broadcast(size), "lang").filter(near).withColumn("_place", place).filter(F.col("_place") <= most).select("_id")
     return docs.join(F.broadcast(ids.distinct()), F.col("doc_id") == F.col("_id"), "left_semi").filter(learn)
 
 
 def fit_languages(docs: DataFrame, learn: F.Column) -> SlicedFilters:
     learn = learn & F.col("lang").isNotNull() & F.col("text").isNotNull()
-    rows = sample_rows(docs, learn).select("lang", F.substring("text", 1, SAMPLE_CHARS).alias("text"))
-    return SlicedFilters.fit([(r["lang"], r["text"]) for r in rows.limit(2 * SAMPLE_DOCS).collect()])
+    rows = sample_rows(docs, learn).groupBy("doc_id", "lang").agg(F.min("text").alias("text"))
+    return SlicedFilters.fit([(r["lang"], r["text"]) for r in rows.collect()])
 
 
 def predict_languages(docs: DataFrame, model: SlicedFilters) -> DataFrame:

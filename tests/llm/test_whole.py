@@ -4,7 +4,7 @@ import random
 
 from pyspark.sql import functions as F
 
-from blockmatch.llm import hyperminhash, quality
+from blockmatch.llm import hyperminhash, langid, quality
 
 
 def test_near_duplicates_behind_hubs_without_links(spark):
@@ -28,3 +28,15 @@ def test_quality_learns_from_what_stands_far_behind(spark):
     model = quality.fit_from(docs, labels, F.lit(True))
     got = {x["doc_id"]: x["score"] for x in quality.score_documents(docs, model).collect()}
     assert all((got[i] >= 0.7) == bool(i % 2) for i in range(40, 60)), got
+
+
+def test_a_rare_language_is_learned(spark):
+    """Two documents among 6,000, told apart from the others behind 12,000 characters only."""
+    rare = "alpha " * 2100 + "zorro queso llave " * 3000
+    docs = spark.range(6000).selectExpr("id as doc_id", "'alpha beta gamma' as text", "'ab' as lang")
+    docs = docs.unionByName(spark.createDataFrame([(7001, rare, "es"), (7002, rare, "es")], "doc_id long, text string, lang string"))
+    sample = langid.sample_rows(docs, F.lit(True)).groupBy("lang").count().collect()
+    assert {r["lang"]: r["count"] for r in sample} == {"ab": langid.SAMPLE_DOCS, "es": 2}
+    model = langid.fit_languages(docs, F.lit(True))
+    new = spark.createDataFrame([(1, "queso zorro llave", False)], "doc_id long, text string, held_out boolean")
+    assert langid.predict_languages(new, model).first()["lang_pred"] == "es"
