@@ -9,6 +9,8 @@ always cuts, so the result equals encoding the whole text:
   before a blank between two characters that aren't white space. A text in
   which a piece is empty or touches other white space is encoded whole.
 
+A text that holds an added token (such as an end sign) is encoded whole, too.
+
 The caches of pieces and of bare words are emptied at `most` entries, so memory is bounded.
 """
 
@@ -74,7 +76,8 @@ class PieceEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        # tokens matched in the raw text before it is cut; with one of them it is encoded whole
+        self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.most = most
         self.model = self.tokenizer.model
         self.keeps_space = self.tokenizer.normalizer is None
@@ -163,10 +166,11 @@ class PieceEncoder:
         del flat, start  # else the arrays can't grow
         edges = np.concatenate(([0], ends))[np.concatenate(([0], np.cumsum(size)))]
         out = [ids[a:b] for a, b in zip(edges[:-1], edges[1:])]
+        odd = {i for i, t in enumerate(texts) if any(a in t for a in self.added)}
         if self.keeps_space:
-            odd = np.unique(np.repeat(np.arange(len(texts)), size)[row == 0])
-            for i in odd:
-                out[i] = np.array(self.whole(texts[i]), np.uint32)
+            odd.update(np.repeat(np.arange(len(texts)), size)[row == 0].tolist())
+        for i in odd:
+            out[i] = np.array(self.whole(texts[i]), np.uint32)
         return out
 
 

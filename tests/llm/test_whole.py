@@ -2,9 +2,11 @@
 
 import random
 
+import pytest
 from pyspark.sql import functions as F
 
-from blockmatch.llm import hyperminhash, langid, quality
+from blockmatch.llm import hyperminhash, langid, packing, quality
+from blockmatch.llm.tokens import PieceEncoder
 
 
 def test_near_duplicates_behind_hubs_without_links(spark):
@@ -40,3 +42,13 @@ def test_a_rare_language_is_learned(spark):
     model = langid.fit_languages(docs, F.lit(True))
     new = spark.createDataFrame([(1, "queso zorro llave", False)], "doc_id long, text string, held_out boolean")
     assert langid.predict_languages(new, model).first()["lang_pred"] == "es"
+
+
+@pytest.mark.parametrize("name", ["word_bpe_49k.json", "byte_bpe_50k.json"])
+def test_texts_with_added_tokens_as_the_library_encodes_them(name):
+    from tokenizers import Tokenizer
+
+    path = packing.vocabulary_path(name)
+    plain = Tokenizer.from_file(path)
+    texts = ["ab <|endoftext|> cd", "x<|endoftext|>y.", "<|startoftext|>\nend", "<|endoftext|>", "no sign", "a <|ENDOFTEXT|> b", ""]
+    assert [e.tolist() for e in PieceEncoder(path).encode(texts)] == [plain.encode(t, add_special_tokens=False).ids for t in texts]
