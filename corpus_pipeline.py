@@ -2,7 +2,8 @@
 
 quality classifier -> line dedup -> near-duplicate groups -> source mix -> packing. All
 stages but the last return the columns of documents. SQL cannot express the first, third
-and last stage, so ORACLE_SQL is None; tests compare with brute force.
+and last stage, so ORACLE_SQL is None. Tests hold the operators against brute force on small
+tables of their own; of the stages here they check rows, column names and counts only.
 """
 
 from __future__ import annotations
