@@ -19,7 +19,6 @@ SWEEPS = {
     "radius": [100, 500, 1000, 1500, 2000],
     "degree": [2, 3, 4],
     "vertices": [10_000, 20_000, 30_000, 50_000, 100_000],
-    "length": [2000, 4000, 6000],
 }
 #: keep and diagonal shares of the lattice for an average degree.
 LATTICE = {2: (60, 0), 3: (75, 10), 4: (95, 30)}
