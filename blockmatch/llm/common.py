@@ -52,6 +52,14 @@ class Workspace:
             path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+    def keep(self, *names: str) -> None:
+        """Drop all tables but these."""
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.root)
+        files = path.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        if files.exists(path):
+            self.drop(*{str(x.getPath().getName()) for x in files.listStatus(path)} - set(names))
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
@@ -84,7 +92,6 @@ def schema(**fields: str) -> T.StructType:
 # -- hashing of words and word windows on whole byte buffers --
 
 _U = np.uint64
-_BASE = 0x9E3779B97F4A7C15 | 1
 
 
 def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
@@ -95,34 +102,42 @@ def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
     return x ^ (x >> _U(31))
 
 
-class Powers:
-    """Powers of an odd base and of its inverse modulo 2^64, grown on demand."""
-
-    def __init__(self, base: int = _BASE):
-        self.base, self.inverse = base, pow(base, -1, 2**64)
-        self.up = self.down = np.ones(1, _U)
+_ODD = _U(0x9FB21C651E98DF25)
+_LOW_BYTES = np.array([(1 << (8 * k)) - 1 for k in range(9)], _U)
 
-    def upto(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.up) < n:
-            size = 1 << (n - 1).bit_length()
-            both = []
-            for b in (self.base, self.inverse):
-                f = np.full(size, b, _U)
-                f[0] = 1
-                both.append(np.multiply.accumulate(f))
-            self.up, self.down = both
-        return self.up[:n], self.down[:n]
 
+def word_codes(buffer: np.ndarray, starts: np.ndarray, ends: np.ndarray, salt: int = 0) -> np.ndarray:
+    """A 64-bit code of each word: its length, then eight bytes at a time, each through `mix`.
 
-_POWERS = Powers()
-
-
-def span_hashes(codes: np.ndarray, starts: np.ndarray, ends: np.ndarray, salt: int = 0) -> np.ndarray:
-    """A 64-bit hash of each span of a sequence of codes, from prefix sums of a polynomial."""
-    up, down = _POWERS.upto(len(codes) + 1)
-    sums = np.zeros(len(codes) + 1, _U)
-    np.cumsum(codes.astype(_U) * up[: len(codes)], out=sums[1:])
-    return mix((sums[ends] - sums[starts]) * down[starts] + mix((ends - starts).astype(_U)), salt)
+    No sum or polynomial: what differs early can't be cancelled by what comes later. Codes
+    of two salts are independent, so both together are a 128-bit fingerprint.
+    """
+    n = ends - starts
+    padded = np.concatenate((buffer, np.zeros(8, np.uint8)))
+    eight = np.ndarray(len(buffer) + 1, "<u8", padded.data, strides=(1,))  # the eight bytes from each place on
+    code = mix(mix(n.astype(_U), salt) ^ (eight[starts] & _LOW_BYTES[np.minimum(n, 8)]))
+    left, at = np.flatnonzero(n > 8), 8
+    while len(left):
+        code[left] = mix((code[left] * _ODD) ^ (eight[starts[left] + at] & _LOW_BYTES[np.minimum(n[left] - at, 8)]))
+        at += 8
+        left = left[n[left] > at]
+    return code
+
+
+def window_codes(codes: np.ndarray, size: int) -> np.ndarray:
+    """A 64-bit code of each run of `size` codes, joined two by two through `mix` in runs of 1, 2, 4 and so on."""
+    if len(codes) < size:
+        return codes[:0]
+    out, done, run, width = None, 0, codes, 1
+    while True:
+        if size & width:
+            part = run[done : len(codes) - size + done + 1]
+            out = part if out is None else mix(out * _ODD + part, size)
+            done += width
+        if done == size:
+            return mix(out, size)
+        run = mix(run[: len(run) - width] * _ODD + run[width:], width)
+        width *= 2
 
 
 def word_spans(buffer: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
