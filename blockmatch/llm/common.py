@@ -36,7 +36,12 @@ class Workspace:
     """Tables of one operator call in the shared folder; each table cuts the lineage."""
 
     def __init__(self, spark: SparkSession, name: str):
-        self.spark, self.root = spark, f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+        self.spark, self.root, self._n = spark, f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}", 0
+
+    def next(self) -> int:
+        """A number for a table's name."""
+        self._n += 1
+        return self._n
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"

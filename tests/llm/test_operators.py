@@ -171,11 +171,24 @@ def test_token_store(spark, docs, empty):
         want.append((i, at, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()), True))
         at += len(ids)
     assert sorted(map(tuple, store.check().collect())) == want
-    assert store.broken_segments().count() == 0
-    back = {r["start"]: np.frombuffer(r["ids"], "<u2").tolist() for r in store.ids(docs.filter("doc_id in (3, 11)")).collect()}
-    assert sorted(back.values()) == sorted(x for i, x in streams if i in (3, 11))
-    assert store.read("chunks").count() == store.read("chunks").select("digest").distinct().count()
-    assert tokenstore.TokenStore(Workspace(spark, "t")).write(empty, path).check().count() == 0
+    assert store.broken().count() == 0 and len(store.root()) == 64
+    back = {r["start"]: np.frombuffer(r["ids"], "<u2").tolist() for r in store.ids(docs.filter("doc_id in (3, 5, 11)")).collect()}
+    assert sorted(back.values()) == sorted(x for i, x in streams if i in (3, 5, 11))
+    held = store.read("documents").dropDuplicates(["doc_id"]).select(F.explode(F.arrays_zip("digests", "ids")).alias("c"))
+    own = held.filter("c.ids is not null").select("c.digests")
+    assert own.count() == own.distinct().count() == held.select("c.digests").distinct().count() < held.count()
+    none = tokenstore.TokenStore(Workspace(spark, "t")).write(empty, path)
+    assert none.check().count() == none.broken().count() == 0 and none.root() is None
+    # a store in which one chunk's bytes were changed, and one whose documents were exchanged
+    spoilt = tokenstore.TokenStore(Workspace(spark, "t"))
+    store.read("parts").write.parquet(spoilt.ws.path("parts"))
+    odd = F.when(F.col("doc_id") == 11, F.transform("ids", lambda x: F.concat(x, F.lit(b"\0\0")))).otherwise(F.col("ids"))
+    store.read("documents").withColumn("ids", odd).write.parquet(spoilt.ws.path("documents"))
+    assert [r["doc_id"] for r in spoilt.check().filter("not whole").collect()] == [11]
+    swapped = F.when(F.col("doc_id") == 11, F.lit(b"x" * 16)).otherwise(F.col("root"))
+    store.read("documents").withColumn("root", swapped).write.mode("overwrite").parquet(spoilt.ws.path("documents"))
+    store.read("manifest").write.parquet(spoilt.ws.path("manifest"))
+    assert spoilt.broken().count() >= 1
 
 
 def test_crc_of_joined_parts():
