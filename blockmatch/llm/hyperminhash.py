@@ -42,8 +42,8 @@ BANDS = BUCKETS // ROWS
 #: Longs and bits of a parity sketch.
 LONGS = 16
 BITS = 64 * LONGS
-#: Rows up to these numbers are sent to the tasks (8 to 16 bytes, 0.5 kB and 8 bytes a shingle each); beyond them tables meet by a shuffle.
-BROADCAST_IDS, BROADCAST_FACTS, BROADCAST_SHINGLES = 500_000, 50_000, 4_000_000
+#: Rows up to these numbers are sent to the tasks (8 to 16 bytes, 0.3 kB each); beyond them tables meet by a shuffle.
+BROADCAST_IDS, BROADCAST_FACTS = 500_000, 50_000
 #: Hubs of a bucket in each round; the last number goes on.
 HUBS = (1, 8, 64, 2048)
 #: A bucket with more members after the first rounds is dealt anew by rare shingles.
@@ -212,8 +212,6 @@ def confirmed(pairs: DataFrame, sets: DataFrame, ws: Workspace, name: str) -> Da
     """Pairs whose whole sets reach the threshold; a written table of pairs, a row of two sets in memory at a time."""
     ends = ws.save(pairs.select("a").union(pairs.select("b")).distinct(), f"ends{name}")
     own = only(sets, "rep", ends)
-    small = (own.agg(F.sum(F.size("shingles") + 2).alias("n")).collect()[0]["n"] or 0) <= BROADCAST_SHINGLES
-    own = F.broadcast(own) if small else own
     rows = pairs.join(own.toDF("a", "s_a"), "a").join(own.toDF("b", "s_b"), "b")
     both = F.size(F.array_intersect("s_a", "s_b"))
     return rows.filter(100 * both >= THRESHOLD * (F.size("s_a") + F.size("s_b") - both)).select("a", "b")
