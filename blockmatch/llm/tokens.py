@@ -38,25 +38,29 @@ _LETTERS = _byte_letters()
 
 
 class _Table(dict):
-    """Row of each piece; row 0 says that its text must be encoded whole."""
+    """Row of each piece; row 0 says that its text must be encoded whole. `sign` stands for the blank before the piece."""
 
     def __init__(self, owner: PieceEncoder, blank: str):
-        self.owner, self.blank, self.cores = owner, blank, {}
+        self.owner, self.blank, self.sign = owner, blank, blank.replace(" ", "Ġ")
 
     def __missing__(self, piece: str) -> int:
         owner = self.owner
+        flat, starts = owner.flat, owner.starts
         core = piece.rstrip(_TAIL)
-        ids = self.cores.get(core)  # holds bare words only, so what is behind is tail signs
-        if ids is None:
-            ids = owner.learn(piece, core, self)
-            if ids is None:
-                self[piece] = 0
-                return 0
-        elif len(core) < len(piece):
-            ids += owner.tails[piece[len(core) :]]
-        owner.flat.frombytes(ids)
-        starts = owner.starts
-        starts.append(len(owner.flat))
+        plain = core.isalpha() and (core.isascii() or owner.latin(core))
+        if plain and len(core) < len(piece):  # what is behind is tail signs
+            at = self[core]
+            flat.extend(flat[starts[at] : starts[at + 1]])
+            flat.frombytes(owner.tails[piece[len(core) :]])
+        elif plain:
+            flat.fromlist([t.id for t in owner.tokenize(owner.letters(core, self))])
+        elif (parts := owner.parts(piece, self)) is None:
+            self[piece] = 0
+            return 0
+        else:
+            for part in parts:
+                flat.extend(part)
+        starts.append(len(flat))
         self[piece] = at = len(starts) - 2
         return at
 
@@ -79,7 +83,7 @@ class PieceEncoder:
         # tokens matched in the raw text before it is cut; with one of them it is encoded whole
         self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.most = most
-        self.model = self.tokenizer.model
+        self.tokenize = self.tokenizer.model.tokenize
         self.keeps_space = self.tokenizer.normalizer is None
         self.kind = "H" if self.tokenizer.get_vocab_size() < 1 << 16 else "I"
         self.inner, self.first, self.tails = _Table(self, " "), _Table(self, ""), _Tails(self)
@@ -87,11 +91,8 @@ class PieceEncoder:
 
     def clear(self) -> None:
         self.flat, self.starts = array(self.kind), array("q", [0, 0])
-        for table in (self.inner, self.first):
+        for table in (self.inner, self.first, self.tails):
             table.clear()
-            if len(table.cores) > self.most:
-                table.cores.clear()
-        self.tails.clear()
 
     def pack(self, ids: list[int]) -> bytes:
         return array(self.kind, ids).tobytes()
@@ -99,43 +100,34 @@ class PieceEncoder:
     def whole(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
 
-    def _word(self, core: str, table: _Table) -> bytes | None:
-        """Ids of a bare word; None if it isn't one."""
-        if not core.isalpha():
-            return None
-        key = table.blank + core if self.keeps_space else core.lower()
+    def latin(self, core: str) -> bool:
+        """Whether a word beyond ASCII is one of letters whose lower case and composed form are themselves or known."""
+        return max(core) < "\u0250" and (self.keeps_space or core.lower().isalpha()) and is_normalized("NFC", core)
+
+    def letters(self, core: str, table: _Table) -> str:
+        """A bare word as the model's letters."""
         if core.isascii():
-            letters = key.replace(" ", "Ġ")
-        elif max(core) < "\u0250" and key.lstrip().isalpha() and is_normalized("NFC", core):
-            letters = key.encode().decode("latin-1").translate(_LETTERS)
-        else:
-            return None
-        table.cores[core] = ids = self.pack([t.id for t in self.model.tokenize(letters)])
-        return ids
+            return table.sign + core if self.keeps_space else core.lower()
+        key = table.blank + core if self.keeps_space else core.lower()
+        return key.encode().decode("latin-1").translate(_LETTERS)
 
-    def learn(self, piece: str, core: str, table: _Table) -> bytes | None:
-        """Ids of a piece whose bare word is new; None if its text must be encoded whole."""
-        ids = self._word(core, table)
-        if ids is not None:
-            return ids + self.tails[piece[len(core) :]] if len(core) < len(piece) else ids
+    def parts(self, piece: str, table: _Table) -> list[array] | None:
+        """Ids of a piece that isn't a bare word, in parts; None if its text must be encoded whole."""
         if not self.keeps_space:
-            return self.pack(self.whole(piece)) if piece else b""
+            return [array(self.kind, self.whole(piece))] if piece else []
         if not piece or piece[0].isspace() or piece[-1].isspace():
             return None
-        parts = piece.split("\n")
-        if len(parts) == 1 or any(not p or p[0].isspace() or p[-1].isspace() for p in parts):
-            return self.pack(self.whole(table.blank + piece))
-        ids, line = b"", self.tails["\n"]
-        for k, part in enumerate(parts):
-            own = self.first if k else table
-            core = part.rstrip(_TAIL)
-            word = own.cores.get(core) or self._word(core, own)
-            if word is None:
-                word = self.pack(self.whole(part if k else own.blank + part))
-            elif len(core) < len(part):
-                word += self.tails[part[len(core) :]]
-            ids += line + word if k else word
-        return ids
+        lines = piece.split("\n")
+        if len(lines) == 1 or any(not x or x[0].isspace() or x[-1].isspace() for x in lines):
+            return [array(self.kind, self.whole(table.blank + piece))]
+        rows = [(self.first if k else table)[x] for k, x in enumerate(lines)]
+        if not all(rows):
+            return None
+        line, flat, starts = array(self.kind, self.tails["\n"]), self.flat, self.starts
+        out = [flat[starts[rows[0]] : starts[rows[0] + 1]]]
+        for at in rows[1:]:
+            out += [line, flat[starts[at] : starts[at + 1]]]
+        return out
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of each text as unsigned 32-bit integers."""

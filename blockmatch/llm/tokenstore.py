@@ -146,7 +146,7 @@ class TokenStore:
         ws = self.ws
         self.width = 2 if encoder(vocabulary).kind == "H" else 4
         zstd = {"compression": "zstd"}
-        staged = ws.save(encoded(docs, vocabulary, end_id), "staged", **zstd)
+        staged = ws.save(encoded(docs, vocabulary, end_id), "staged")
         # the first place of each digest that stands in several; only digests are shuffled
         places = staged.select(_key().alias("key"), F.posexplode("digests").alias("pos", "digest"))
         shared = places.groupBy("digest").agg(F.min(F.struct("key", "pos")).alias("home"), F.count("*").alias("n")).filter("n > 1")
