@@ -95,7 +95,9 @@ def mix_table(docs: DataFrame, spec: MixSpec = MixSpec()) -> DataFrame:
     """doc_id, size, source_size, target, taken of every document.
 
     Null text has size 0, null source is a source of its own and the last. Sources without
-    words have target 0. Repeated rows draw alike. Empty table: no rows.
+    words have target 0. Repeated rows draw alike. Of seeds that come equally near, the
+    smallest counts. Texts of any length are counted whole. Empty table: no rows. Columns
+    other than doc_id, source and text aren't read.
     """
     ws = Workspace(docs.sparkSession, "mixing")
     sized = _sized(docs, ws)

@@ -28,7 +28,7 @@ from .common import Workspace, blocks, schema, text_or_empty
 from .tokens import encoder
 
 CAPACITY, END_ID = 4096, 1
-#: Bound of the broadcast plan, in rows; `plan_packing` makes a few for each length.
+#: A plan of up to so many rows is sent to the tasks (`plan_packing` makes a few for each length); a larger one meets the pieces by a shuffle.
 MOST_PLACEMENTS = 2_000_000
 
 
@@ -44,7 +44,7 @@ def token_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end
         enc = encoder(vocabulary)
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for part in blocks(texts, [len(t) for t in texts], 2_000_000):
+            for part in blocks(texts, [len(t) for t in texts], 1_000_000):
                 rows: list[tuple] = []
                 for doc, seq in zip(ids[part], enc.encode(texts[part])):
                     seq = np.append(seq, np.uint32(end_id)).astype("<u4")
@@ -187,8 +187,8 @@ def plan_packing(histogram: dict[int, int], capacity: int = CAPACITY, groups: in
     return plan
 
 
-#: (groups, least large length as a share of the capacity) that are tried; share 1 is plain best-fit.
-TRIALS = ((40, 0.2), (40, 0.3), (80, 0.3), (80, 0.45), (1, 1.0))
+#: (groups, least large length as a share of the capacity) that are tried.
+TRIALS = ((40, 0.2), (40, 0.3), (80, 0.3), (80, 0.45))
 
 
 def best_plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int, int, int, int, int]]:
@@ -197,21 +197,20 @@ def best_plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple
     return min(plans, key=lambda plan: max((first + count for _, _, count, first, _ in plan), default=0))
 
 
-def assign(pieces: DataFrame, ws: Workspace, capacity: int = CAPACITY) -> DataFrame:
+def assign(pieces: DataFrame, ws: Workspace, capacity: int = CAPACITY, most: int = MOST_PLACEMENTS) -> DataFrame:
     """Add sequence_id and offset to a written table of pieces; ranks within a length are made in parallel for each part."""
     spark = pieces.sparkSession
     counts = ws.save(pieces.groupBy("length", "part").agg(F.count("*").alias("n")), "counts")
     rows = counts.groupBy("length").agg(F.sum("n").alias("n")).collect()  # at most `capacity` rows
     plan = best_plan({r["length"]: r["n"] for r in rows}, capacity)
-    if len(plan) > MOST_PLACEMENTS:
-        raise ValueError(f"the plan has {len(plan)} placements; the bound of its broadcast is {MOST_PLACEMENTS}")
     cols = [np.array(c, np.int64) for c in zip(*plan)] or [np.zeros(0, np.int64)] * 5
     table = pa.table(cols, names=["length", "low", "count", "first", "offset"])
     places = spark.createDataFrame(table) if plan else spark.createDataFrame([], schema(length="long", low="long", count="long", first="long", offset="long"))
     before = counts.withColumn("before", F.sum("n").over(W.partitionBy("length").orderBy("part").rowsBetween(W.unboundedPreceding, -1)))
     ranked = pieces.withColumn("rank", F.row_number().over(W.partitionBy("length", "part").orderBy("doc_id", "piece", "start")))
     ranked = ranked.join(before.select("length", "part", "before"), ["length", "part"]).withColumn("rank", F.col("rank") - 1 + F.coalesce("before", F.lit(0)))
-    p = F.broadcast(places.withColumnRenamed("length", "p_length"))
+    p = places.withColumnRenamed("length", "p_length")
+    p = F.broadcast(p) if len(plan) <= most else p
     hit = (F.col("length") == F.col("p_length")) & (F.col("rank") >= F.col("low")) & (F.col("rank") < F.col("low") + F.col("count"))
     return ranked.join(p, hit).withColumn("sequence_id", F.col("first") + F.col("rank") - F.col("low")).drop("rank", "before", "part", "p_length", "low", "count", "first")
 
@@ -222,6 +221,8 @@ def pack_documents(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, e
     Returns doc_id, piece, start, length, ids_crc32, sequence_id, offset. Sequence numbers
     are arbitrary. Empty table: no rows. Null text: a piece with the end id alone. Equal
     lengths are placed in order of part, doc_id and piece; repeated rows are packed each.
+    Very long texts are encoded alone, whole, and cut into pieces of the capacity. Only
+    doc_id and text are read, so other columns can't clash.
     """
     ws = Workspace(docs.sparkSession, "packing")
     pieces = ws.save(token_pieces(docs, vocabulary, capacity, end_id).withColumn("part", F.spark_partition_id()), "pieces")
@@ -236,7 +237,7 @@ def packed_sequences(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY,
     placed = assign(pieces, ws, capacity)
     parts = F.array_sort(F.collect_list(F.struct("offset", "ids")))
     joined = placed.groupBy("sequence_id").agg(F.sum("length").alias("length"), parts.alias("parts"))
-    return joined.select("sequence_id", "length", F.expr("aggregate(parts, X'', (a, x) -> concat(a, x.ids))").alias("ids"))
+    return joined.select("sequence_id", "length", F.unhex(F.array_join(F.transform("parts", lambda x: F.hex(x["ids"])), "")).alias("ids"))
 
 
 def vocabulary_path(name: str) -> str:

@@ -31,7 +31,9 @@ VOCABULARY, DIMS, HIDDEN, SIGNS = 20_000, 64, 16, 6
 THRESHOLD = 0.7
 SAME = "\0same"
 #: Words that a worker remembers; beyond it the table starts anew.
-REMEMBER = 500_000
+REMEMBER = 200_000
+#: Characters of text that a task scores at once.
+BLOCK = 500_000
 
 
 def tokens_of(word: str) -> tuple[str, str]:
@@ -192,7 +194,7 @@ def fit_from(docs: DataFrame, labels: DataFrame, learn: F.Column) -> Model:
     labels = labels.filter("quality is not null").groupBy("doc_id").agg(F.max("quality").alias("quality"))
     ids = labels.filter(learn).orderBy(F.xxhash64("doc_id", F.lit(23)), "doc_id").limit(SAMPLE_DOCS).select(F.col("doc_id").alias("_id"), "quality")
     rows = docs.select("doc_id", text_or_empty().alias("text")).join(F.broadcast(ids), F.col("doc_id") == F.col("_id"))
-    rows = rows.select("doc_id", "text", "quality").limit(2 * SAMPLE_DOCS).collect()
+    rows = rows.groupBy("doc_id", "quality").agg(F.min("text").alias("text")).collect()  # of repeated rows one
     return fit_quality([(r["text"], r["quality"]) for r in sorted(rows, key=lambda r: (r["doc_id"], r["text"]))])
 
 
@@ -204,7 +206,7 @@ def score_documents(docs: DataFrame, model: Model) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch.column(1).to_pylist()
-            for part in blocks(texts, [len(t) for t in texts], 1_000_000):
+            for part in blocks(texts, [len(t) for t in texts], BLOCK):
                 score = sent.value.score(texts[part])
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(part.start, len(score)), pa.array(score)], names=out.names)
 
@@ -218,7 +220,7 @@ def keep_quality(docs: DataFrame, model: Model, threshold: float = THRESHOLD) ->
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = [t or "" for t in batch.column(batch.schema.get_field_index("text")).to_pylist()]
-            score = [sent.value.score(texts[part]) for part in blocks(texts, [len(t) for t in texts], 1_000_000)]
+            score = [sent.value.score(texts[part]) for part in blocks(texts, [len(t) for t in texts], BLOCK)]
             if texts:
                 yield batch.filter(pa.array(np.concatenate(score) >= threshold))
 
@@ -226,7 +228,12 @@ def keep_quality(docs: DataFrame, model: Model, threshold: float = THRESHOLD) ->
 
 
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Learn from labelled rows outside the held-out quarter; score all. Repeated rows score alike; an empty table gives no rows."""
+    """Learn from labelled rows outside the held-out quarter; score all.
+
+    Repeated and equal texts score alike; null counts as empty, an empty text has a score,
+    too; very long texts are scored alone, whole. A document with several labels counts with
+    the largest. An empty table gives no rows. Other columns aren't read.
+    """
     docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
     model = fit_from(docs, labels, fold(F.col("doc_id"), 4) != 2)
     rows = score_documents(docs, model)

@@ -11,7 +11,7 @@ always cuts, so the result equals encoding the whole text:
 
 A text that holds an added token (such as an end sign) is encoded whole, too.
 
-The caches of pieces and of bare words are emptied at `most` entries, so memory is bounded.
+At `most` pieces the less used half is forgotten, so memory is bounded.
 """
 
 from __future__ import annotations
@@ -90,10 +90,33 @@ class PieceEncoder:
         self.clear()
 
     def clear(self) -> None:
-        self.flat, self.starts = array(self.kind), array("q", [0, 0])
+        self.flat, self.starts, self.uses = array(self.kind), array("q", [0, 0]), np.zeros(1024, np.int64)
         for table in (self.inner, self.first, self.tails):
             table.clear()
 
+    def shrink(self) -> None:
+        """Forget the pieces that were used least, half of them or more."""
+        n = len(self.starts) - 1
+        uses = self.uses[:n].copy()
+        keep = uses > max(1, int(np.partition(uses, n // 2)[n // 2]))
+        if keep.sum() > n // 2:  # a tie
+            keep[:] = False
+        keep[0] = True
+        start = np.array(self.starts, np.int64)
+        size = np.where(keep, np.diff(start), 0)
+        low, n_ids = start[:-1][keep], size[keep]
+        ends = np.cumsum(n_ids)
+        at = np.repeat(low - (ends - n_ids), n_ids) + np.arange(ends[-1] if len(ends) else 0)
+        flat = np.array(self.flat, self.kind)[at]
+        to = np.cumsum(keep) - 1
+        for table in (self.inner, self.first):
+            held = {piece: int(to[row]) for piece, row in table.items() if keep[row]}
+            table.clear()
+            table.update(held)
+        self.tails.clear()
+        self.flat, self.starts = array(self.kind, flat.tobytes()), array("q", np.concatenate(([0], ends)).astype(np.int64).tobytes())
+        self.uses = np.concatenate((uses[keep] // 2, np.zeros(1024, np.int64)))
+
     def pack(self, ids: list[int]) -> bytes:
         return array(self.kind, ids).tobytes()
 
@@ -132,7 +155,7 @@ class PieceEncoder:
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of each text as unsigned 32-bit integers."""
         if len(self.starts) > self.most:
-            self.clear()
+            self.shrink()
         rows, sizes = array("q"), []
         for text in texts:
             if self.keeps_space:
@@ -146,6 +169,10 @@ class PieceEncoder:
             sizes.append(len(rows))
         row, size = np.frombuffer(rows, np.int64), np.diff(np.array(sizes, np.int64), prepend=0)
         flat, start = np.frombuffer(self.flat, self.kind), np.frombuffer(self.starts, np.int64)
+        used = np.bincount(row, minlength=1)
+        if len(used) > len(self.uses):
+            self.uses = np.concatenate((self.uses, np.zeros(max(len(used), len(self.uses)), np.int64)))
+        self.uses[: len(used)] += used
         low = start[row]
         n = start[row + 1] - low if len(row) else row
         ends = np.cumsum(n)

@@ -13,9 +13,8 @@ pair, level by level, to one root of the store.
 
 Layout under the store's folder (Parquet, readable by any engine):
   documents  doc_id, n_tokens, digests, ids (bytes of each chunk, little-endian, `width` bytes an
-             id; null where another row holds them), root, part (range-partitioned by doc_id),
-             before (ids of the part's documents before it)
-  parts      part, first (ids of all parts before it; with `before` it gives a document's start)
+             id; null where another row holds them), root, part; range-partitioned and sorted by doc_id
+  index      doc_id, root, n_tokens, part, start (ids of all documents before), nth (of repeated rows)
   manifest   level, node, documents, n_tokens, root; level 0: segments, the last level: one row
 """
 
@@ -29,6 +28,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import Workspace, blocks, documents, mix, running_before, schema, text_or_empty
@@ -108,14 +108,10 @@ def encoded(docs: DataFrame, vocabulary: str, end_id: int) -> DataFrame:
     return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(run, out)
 
 
-def _running(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Add `before`, the ids of the rows before in this task."""
-    total = 0
-    for b in batches:
-        n = b.column("n_tokens").to_numpy()
-        ends = np.cumsum(n) + total
-        yield pa.RecordBatch.from_arrays([*b.columns, pa.array((ends - n).astype(np.int64))], names=[*b.schema.names, "before"])
-        total = int(ends[-1]) if len(ends) else total
+def _nth(rows: DataFrame) -> DataFrame:
+    """Number rows that are one document repeated, so that each finds its own line of the index."""
+    same = W.partitionBy("doc_id", "root").orderBy("n_tokens")
+    return rows.withColumn("nth", F.row_number().over(same))
 
 
 def _key() -> F.Column:
@@ -158,22 +154,22 @@ class TokenStore:
         rows = rows.withColumn("ids", F.when(F.col("away").isNull(), F.col("ids")).otherwise(held)).drop("away")
         order = [F.col("doc_id").asc_nulls_first(), F.col("n_tokens"), F.col("root")]
         ranged = rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("part", F.spark_partition_id())
-        stored = ws.save(ranged.mapInArrow(_running, ranged.withColumn("before", F.lit(0).cast("long")).schema), "documents", **zstd)
-        sizes = stored.groupBy("part").agg(F.sum("n_tokens").alias("n")).sort("part").collect()  # a row for each file
+        stored = ws.save(ranged, "documents", **zstd)
+        slim = stored.select("part", "doc_id", "n_tokens", "root")
+        sizes = slim.groupBy("part").agg(F.sum("n_tokens").alias("n")).sort("part").collect()  # a row for each file
         first = np.cumsum([0, *(r["n"] for r in sizes)]).tolist()
         parts = ws.spark.createDataFrame([(r["part"], f) for r, f in zip(sizes, first)], schema(part="int", first="long"))
-        ws.save(parts.coalesce(1), "parts")
+        w = W.partitionBy("part").orderBy(*order)
+        before = F.coalesce(F.sum("n_tokens").over(w.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+        index = slim.withColumn("before", before).join(F.broadcast(parts), "part").withColumn("start", F.col("first") + F.col("before"))
+        ws.save(_nth(index.drop("first", "before")), "index")
         ws.drop("staged", "away", "shared")
         self._write_manifest()
         return self
 
-    def documents(self) -> DataFrame:
-        parts = self.read("parts")
-        return self.read("documents").join(F.broadcast(parts), "part").withColumn("start", F.col("first") + F.col("before")).drop("first", "before")
-
     def _segments(self) -> DataFrame:
         """part, segment, documents, n_tokens, root of runs of neighbouring documents."""
-        rows = self.documents().select("part", "doc_id", "start", "n_tokens", "root")
+        rows = self.read("index")
         rows = rows.withColumn("segment", F.expr(f"start div {SEGMENT * MEAN}"))
         roots = F.array_sort(F.collect_list(F.struct("start", "doc_id", F.hex("root").alias("root"))))
         out = rows.groupBy("part", "segment").agg(F.count("*").alias("documents"), F.sum("n_tokens").alias("n_tokens"), roots.alias("rows"))
@@ -215,8 +211,8 @@ class TokenStore:
         return self.read("manifest").join(now, ["level", "node"], "full").filter("now is null or root is null or now <> root")
 
     def streams(self, wanted: DataFrame | None = None) -> DataFrame:
-        """doc_id, start, n_tokens, root, digests and ids of documents, with the bytes of chunks that other rows hold fetched as `lent` (pos, ids)."""
-        docs = self.documents()
+        """doc_id, n_tokens, root, digests and ids of documents, with the bytes of chunks that other rows hold fetched as `lent` (pos, ids)."""
+        docs = self.read("documents").drop("part")
         if wanted is not None:
             docs = docs.join(wanted.select("doc_id").distinct(), "doc_id", "left_semi")
         docs = docs.withColumn("key", _key())
@@ -235,30 +231,36 @@ class TokenStore:
 
         `whole`: all chunks are there, have their digest, and give the document's root and size.
         """
-        out = schema(doc_id="long", start="long", n_tokens="long", ids_crc32="long", whole="boolean")
+        out = schema(doc_id="long", root="binary", n_tokens="long", ids_crc32="long", whole="boolean")
         dtype = f"<u{self.width}"
+        width = self.width
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                rows = []
-                for n, root, digests, ids, lent in zip(*(b.column(k) for k in ("n_tokens", "root", "digests", "ids", "lent"))):
-                    pieces, digests = ids.as_py(), digests.as_py()
-                    for x in lent.as_py() or ():
-                        pieces[x["pos"]] = x["ids"]
-                    data = b"".join(x or b"" for x in pieces)
-                    size = len(data) // int(dtype[2:])
-                    fine = all(x is not None and digest_of(x) == d for x, d in zip(pieces, digests)) and digest_of(b"".join(digests)) == root.as_py() and size == n.as_py()
-                    rows.append((size, zlib.crc32(np.frombuffer(data, dtype).astype("<u4").tobytes()), fine))
-                cols = list(zip(*rows)) or [[], [], []]
-                yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("start"), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.bool_())))], names=out.names)
-
-        return self.streams().select("doc_id", "start", "n_tokens", "root", "digests", "ids", "lent").mapInArrow(run, out)
+                size, crc, fine = [], [], []
+                roots = b.column("root").to_pylist()
+                for low in range(0, b.num_rows, 500):  # so many documents as Python objects at a time
+                    part = [b.column(k).slice(low, 500).to_pylist() for k in ("n_tokens", "digests", "ids", "lent")]
+                    for n, root, digests, pieces, lent in zip(part[0], roots[low:], *part[1:]):
+                        for x in lent or ():
+                            pieces[x["pos"]] = x["ids"]
+                        whole = None not in pieces and [digest_of(x) for x in pieces] == digests
+                        data = b"".join(pieces) if whole else b"".join(x for x in pieces if x)
+                        size.append(len(data) // width)
+                        crc.append(zlib.crc32(np.frombuffer(data, dtype).astype("<u4")))
+                        fine.append(whole and digest_of(b"".join(digests)) == root and size[-1] == n)
+                yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("root"), pa.array(size, pa.int64()), pa.array(crc, pa.int64()), pa.array(fine, pa.bool_())], names=out.names)
+
+        found = _nth(self.streams().select("doc_id", "root", "n_tokens", "digests", "ids", "lent").mapInArrow(run, out))
+        index = self.read("index").select(F.col("doc_id").alias("_doc"), F.col("root").alias("_root"), F.col("nth").alias("_nth"), "start")
+        own = F.col("doc_id").eqNullSafe(F.col("_doc")) & (F.col("root") == F.col("_root")) & (F.col("nth") == F.col("_nth"))
+        return found.join(index, own, "full").select("doc_id", "start", "n_tokens", "ids_crc32", F.coalesce(F.col("whole") & F.col("start").isNotNull(), F.lit(False)).alias("whole"))
 
     def ids(self, wanted: DataFrame) -> DataFrame:
-        """doc_id, start and the id streams (little-endian, `width` bytes each) of the documents of a table of doc_id."""
+        """doc_id, n_tokens and the id streams (little-endian, `width` bytes each) of the documents of a table of doc_id."""
         own = F.map_from_entries(F.coalesce("lent", F.array().cast("array<struct<pos:int,ids:binary>>")))
         full = F.transform("ids", lambda x, i: F.hex(F.coalesce(x, own[i])))
-        return self.streams(wanted).select("doc_id", "start", F.unhex(F.array_join(full, "")).alias("ids"))
+        return self.streams(wanted).select("doc_id", "n_tokens", F.unhex(F.array_join(full, "")).alias("ids"))
 
 
 def op5_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:

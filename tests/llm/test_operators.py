@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import os
 import random
 import re
 import zlib
@@ -172,8 +173,8 @@ def test_token_store(spark, docs, empty):
         at += len(ids)
     assert sorted(map(tuple, store.check().collect())) == want
     assert store.broken().count() == 0 and len(store.root()) == 64
-    back = {r["start"]: np.frombuffer(r["ids"], "<u2").tolist() for r in store.ids(docs.filter("doc_id in (3, 5, 11)")).collect()}
-    assert sorted(back.values()) == sorted(x for i, x in streams if i in (3, 5, 11))
+    back = {r["doc_id"]: np.frombuffer(r["ids"], "<u2").tolist() for r in store.ids(docs.filter("doc_id in (3, 5, 11)")).collect()}
+    assert back == {i: x for i, x in streams if i in (3, 5, 11)}
     held = store.read("documents").dropDuplicates(["doc_id"]).select(F.explode(F.arrays_zip("digests", "ids")).alias("c"))
     own = held.filter("c.ids is not null").select("c.digests")
     assert own.count() == own.distinct().count() == held.select("c.digests").distinct().count() < held.count()
@@ -181,12 +182,12 @@ def test_token_store(spark, docs, empty):
     assert none.check().count() == none.broken().count() == 0 and none.root() is None
     # a store in which one chunk's bytes were changed, and one whose documents were exchanged
     spoilt = tokenstore.TokenStore(Workspace(spark, "t"))
-    store.read("parts").write.parquet(spoilt.ws.path("parts"))
+    store.read("index").write.parquet(spoilt.ws.path("index"))
     odd = F.when(F.col("doc_id") == 11, F.transform("ids", lambda x: F.concat(x, F.lit(b"\0\0")))).otherwise(F.col("ids"))
     store.read("documents").withColumn("ids", odd).write.parquet(spoilt.ws.path("documents"))
     assert [r["doc_id"] for r in spoilt.check().filter("not whole").collect()] == [11]
     swapped = F.when(F.col("doc_id") == 11, F.lit(b"x" * 16)).otherwise(F.col("root"))
-    store.read("documents").withColumn("root", swapped).write.mode("overwrite").parquet(spoilt.ws.path("documents"))
+    store.read("index").withColumn("root", swapped).write.mode("overwrite").parquet(spoilt.ws.path("index"))
     store.read("manifest").write.parquet(spoilt.ws.path("manifest"))
     assert spoilt.broken().count() >= 1
 
@@ -242,6 +243,37 @@ def test_exact(docs, empty, weak):
     assert exact.exact_duplicates(empty).count() == 0
 
 
+def test_digest_index_with_later_batches(spark, docs):
+    """Three batches, then a fourth that fills the level; each look-up reads runs through their filters."""
+    index = exact.DigestIndex(spark, fanout=4)
+    rows = index.ws.save(index.keyed(docs).withColumn("row", F.monotonically_increasing_id()), "rows")
+    parts = [rows.filter(F.pmod("doc_id", F.lit(4)) == k) for k in range(4)]
+    groups = collections.defaultdict(list)
+    for k in range(3):
+        index.flush(parts[k])
+    assert [len(x) for x in index.levels] == [3]
+    for r in ROWS:
+        if r[0] % 4 < 3:
+            groups["".join(find_all(r[1]))].append((-len(r[1] or ""), r[0]))
+    want = {hashlib.sha256(t.encode()).digest(): (min(g)[1], len(g)) for t, g in groups.items()}
+    asked = rows.select("digest").distinct()
+    found = {bytes(r["digest"]): (r["best"]["keep_id"], r["n"]) for r in index.look_up(asked).collect()}
+    assert found == want
+    # a filter never misses its own, and seldom lets others through
+    for run, part in zip(index.levels[0], parts):
+        assert index.may_hold(part.select("digest"), run, "may").filter("not may").count() == 0
+        other = spark.range(2000).select(F.unhex(F.sha2(F.col("id").cast("string").cast("binary"), 256)).alias("digest"))
+        assert index.may_hold(other, run, "may").filter("may").count() < 100
+    index.flush(parts[3])
+    index.compact()
+    assert [len(x) for x in index.levels] == [0, 1] and not os.path.exists(index.ws.path("run1").removeprefix("file://"))
+    whole = {bytes(r["digest"]): r["n"] for r in index.look_up(asked).collect()}
+    assert sum(whole.values()) == len(ROWS)
+    index.flush(parts[0])
+    index.compact(everything=True)
+    assert len(index.runs()) == 1 and index.look_up(asked).agg(F.sum("n")).first()[0] == len(ROWS) + parts[0].count()
+
+
 def brute_components(data):
     low = str.maketrans({chr(i): chr(i + 32) for i in range(65, 91)})
     sets = {}
