@@ -102,13 +102,16 @@ def mix_table(docs: DataFrame, spec: MixSpec = MixSpec()) -> DataFrame:
     ws = Workspace(docs.sparkSession, "mixing")
     sized = _sized(docs, ws)
     rows = with_plan(sized, mix_plan(sized, ws, spec))
-    return rows.select("doc_id", "size", "source_size", "target", (F.col("size") * _taken(spec)).cast("long").alias("taken"))
+    out = ws.save(rows.select("doc_id", "size", "source_size", "target", (F.col("size") * _taken(spec)).cast("long").alias("taken")), "result")
+    ws.keep("result")
+    return out
 
 
 def mix_documents(docs: DataFrame, spec: MixSpec = MixSpec()) -> DataFrame:
     """The mixed documents, each row as often as the mix takes it; columns as given."""
     ws = Workspace(docs.sparkSession, "mixing")
     plan = mix_plan(_sized(docs, ws), ws, spec).select("source", "rate", "seed")
+    ws.keep("plan")
     names = docs.columns
     rows = with_plan(docs, plan.withColumnsRenamed({"rate": "_rate", "seed": "_seed"}))
     rows = rows.select(F.struct(*names).alias("_row"), "doc_id", F.col("_rate").alias("rate"), F.col("_seed").alias("seed"))

@@ -227,7 +227,9 @@ def pack_documents(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, e
     ws = Workspace(docs.sparkSession, "packing")
     pieces = ws.save(token_pieces(docs, vocabulary, capacity, end_id).withColumn("part", F.spark_partition_id()), "pieces")
     out = assign(pieces, ws, capacity)
-    return out.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", F.col("offset").cast("long").alias("offset"))
+    out = ws.save(out.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", F.col("offset").cast("long").alias("offset")), "result")
+    ws.keep("result")
+    return out
 
 
 def packed_sequences(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
