@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from ..functions.vectors import unit
 from ..sources.tables import Cuts
-from .network import Network, edge_vectors
+from .network import SMALL_EDGES, Network, edge_vectors
 
 
 def half_edges(vertices: DataFrame, edges: DataFrame) -> DataFrame:
@@ -84,24 +84,108 @@ def cut_at_repeats(orbits: DataFrame, halves: DataFrame) -> DataFrame:
     return rows.select("hid", "orbit", ((F.col("place") + 1) % F.col("size")).alias("place")).join(left, ["orbit", "place"]).select("hid", F.col("to").alias("nxt"))
 
 
-def detect_blocks(net: Network, max_sides: int, cuts: Cuts) -> DataFrame:
-    """bid, kind, n_sides, vids, eids: bridges (kind 2) and rings (kind = sides, the last kind for larger ones)."""
+def trace_walks(halves: DataFrame, columns: str = "hid long, orbit long, place long, size long") -> DataFrame:
+    """The final walks of `detect_blocks`, and bridges as walks of size 0, followed half-edge by half-edge in one task; for networks of a checked size."""
+    import pandas as pd
+
+    def run(batches):
+        rows = pd.concat([*batches, pd.DataFrame({"hid": [], "src": [], "angle": []}, dtype="int64")])
+        rows = rows.sort_values(["src", "angle", "hid"])
+        src = dict(zip(rows["hid"].tolist(), rows["src"].tolist()))
+
+        def link(hids: list[int]) -> dict[int, int]:
+            out, at = {}, 0
+            while at < len(hids):
+                end = at
+                while end < len(hids) and src[hids[end]] == src[hids[at]]:
+                    end += 1
+                for k in range(at, end):
+                    out[hids[k] ^ 1] = hids[k - 1] if k > at else hids[end - 1]
+                at = end
+            return out
+
+        def walks(nxt: dict[int, int]) -> list[list[int]]:
+            out, seen = [], set()
+            for h in sorted(nxt):
+                if h not in seen:
+                    walk = [h]
+                    while (h := nxt[h]) != walk[0]:
+                        walk.append(h)
+                    seen.update(walk)
+                    out.append(walk)
+            return out
+
+        order = rows["hid"].tolist()
+        orbit = {h: k for k, walk in enumerate(walks(link(order))) for h in walk}
+        bridges = {h >> 1 for h in order if orbit[h] == orbit[h ^ 1]}
+        final = []
+        for walk in walks(link([h for h in order if h >> 1 not in bridges])):
+            visits: dict[int, list[int]] = {}
+            for k, h in enumerate(walk):
+                visits.setdefault(src[h], []).append(k)
+            if len(visits) == len(walk):
+                final.append(walk)
+                continue
+            nxt = {}
+            for places in visits.values():  # what arrives at a visit goes on with what left at the visit before
+                for k, place in enumerate(places):
+                    nxt[walk[place - 1]] = walk[places[k - 1]]
+            final += walks(nxt)
+        out = [(h, walk[0], k, len(walk)) for walk in final for k, h in enumerate(walk)] + [(2 * e, 2 * e, 0, 0) for e in sorted(bridges)]
+        yield pd.DataFrame(out, columns=["hid", "orbit", "place", "size"], dtype="int64")
+
+    return halves.select("hid", "src", "angle").repartition(1).mapInPandas(run, columns)
+
+
+def capped_walks(halves: DataFrame, steps: int) -> DataFrame:
+    """bid, n_sides, vids, eids of rings that a walk closes at its first vertex within so many steps; one join a step.
+
+    A walk that meets another vertex twice is dropped. Each ring is found from each of its
+    half-edges; patterns that are equal as sets are one.
+    """
+    hop = halves.select(F.col("hid").alias("nxt"), F.col("src").alias("v"), "eid", (F.col("x") * F.col("dy") - F.col("y") * F.col("dx")).alias("turn")).join(link_half_edges(halves), "nxt").withColumnRenamed("hid", "cur")
+    state = halves.select(F.col("hid").alias("start"), F.col("hid").alias("cur"), F.array("src").alias("vids"), F.array("eid").alias("eids"), (F.col("x") * F.col("dy") - F.col("y") * F.col("dx")).alias("area"))
+    closed = None
+    for _ in range(steps):
+        rows = state.join(hop.select("cur", "nxt", "v", F.col("eid").alias("e"), "turn"), "cur")
+        back = rows.filter(F.col("v") == F.col("vids")[0]).select("start", "vids", "eids", "area")
+        closed = back if closed is None else closed.unionByName(back)
+        state = rows.filter(~F.array_contains("vids", F.col("v"))).select("start", F.col("nxt").alias("cur"), F.concat("vids", F.array("v")).alias("vids"), F.concat("eids", F.array("e")).alias("eids"), (F.col("area") + F.col("turn")).alias("area"))
+    rings = closed.filter("area > 0").groupBy(F.array_sort("vids").alias("pattern")).agg(F.min("start").alias("bid"), F.min_by(F.struct("vids", "eids"), "start").alias("c"))
+    return rings.select("bid", F.size("pattern").alias("n_sides"), "c.vids", "c.eids")
+
+
+def detect_blocks(net: Network, max_sides: int, cuts: Cuts, strategy: str = "auto") -> DataFrame:
+    """bid, kind, n_sides, vids, eids: bridges (kind 2) and rings (kind = sides, the last kind for larger ones).
+
+    'doubling': labels by joins, at any size. 'trace': one task follows the walks, for small
+    networks ('auto' takes it up to SMALL_EDGES edges). 'walk': joins of up to `max_sides`
+    steps, which find rings of up to so many sides only.
+    """
     halves = cuts.cut(half_edges(net.vertices, net.edges), "halves")
-    first = label_orbits(link_half_edges(halves), cuts)
-    bridges = cuts.cut(bridge_edges(first), "bridges")
-    rest = cuts.cut(halves.join(bridges, "eid", "left_anti"), "rest")
-    second = cuts.cut(label_orbits(link_half_edges(rest), cuts), "second")
-    again = cuts.cut(cut_at_repeats(second, rest), "again")
-    third = label_orbits(again, cuts).drop("nxt")
-    whole = second.join(again.select("hid"), "hid", "left_anti").drop("nxt").unionByName(third)
+    if strategy == "trace" or (strategy == "auto" and halves.count() <= 2 * SMALL_EDGES):
+        walks = cuts.cut(trace_walks(halves), "walks")
+        bridges = walks.filter("size = 0").select(F.expr("hid div 2").alias("eid"))
+        rest, whole = halves, walks.filter("size > 0")
+    else:
+        first = label_orbits(link_half_edges(halves), cuts)
+        bridges = cuts.cut(bridge_edges(first), "bridges")
+        rest = cuts.cut(halves.join(bridges, "eid", "left_anti"), "rest")
+    e = net.edges.join(bridges, "eid", "left_semi")
+    lone = e.select((2 * F.col("eid")).alias("bid"), F.lit(2).alias("kind"), F.lit(2).alias("n_sides"), F.array("u", "v").alias("vids"), F.array("eid").alias("eids"))
+    if strategy == "walk":
+        return capped_walks(rest, max_sides).select("bid", F.col("n_sides").alias("kind"), "n_sides", "vids", "eids").unionByName(lone)
+    if rest is not halves:
+        second = cuts.cut(label_orbits(link_half_edges(rest), cuts), "second")
+        again = cuts.cut(cut_at_repeats(second, rest), "again")
+        third = label_orbits(again, cuts).drop("nxt")
+        whole = second.join(again.select("hid"), "hid", "left_anti").drop("nxt").unionByName(third)
     rows = whole.join(rest, "hid")
     corner = F.array_sort(F.collect_list(F.struct("place", F.col("src").alias("vid"), "eid")))
     area = F.sum(F.col("x") * F.col("dy") - F.col("y") * F.col("dx"))
     rings = rows.groupBy("orbit").agg(corner.alias("c"), area.alias("area"), F.count("*").alias("n")).filter("area > 0")
     rings = rings.select(F.col("orbit").alias("bid"), F.least("n", F.lit(max_sides + 1)).cast("int").alias("kind"), F.col("n").cast("int").alias("n_sides"), F.col("c.vid").alias("vids"), F.col("c.eid").alias("eids"))
-    rings = rings.dropDuplicates(["vids"])
-    e = net.edges.join(bridges, "eid", "left_semi")
-    lone = e.select((2 * F.col("eid")).alias("bid"), F.lit(2).alias("kind"), F.lit(2).alias("n_sides"), F.array("u", "v").alias("vids"), F.array("eid").alias("eids"))
+    rings = rings.withColumn("pattern", F.array_sort("vids")).dropDuplicates(["pattern"]).drop("pattern")
     return rings.unionByName(lone)
 
 
@@ -115,9 +199,9 @@ def describe_blocks(blocks: DataFrame, net: Network) -> DataFrame:
 
 
 def block_sides(blocks: DataFrame, vertices: DataFrame) -> DataFrame:
-    """bid, ax, ay, bx, by of every side (one for a bridge)."""
+    """bid, kind, ax, ay, bx, by of every side (one for a bridge)."""
     n = F.size("vids")
     pairs = F.when(F.col("kind") == 2, F.array(F.struct(F.col("vids")[0].alias("a"), F.col("vids")[1].alias("b")))).otherwise(F.transform(F.col("vids"), lambda v, i: F.struct(v.alias("a"), F.get(F.col("vids"), (i + 1) % n).alias("b"))))
-    rows = blocks.select("bid", F.explode(pairs).alias("s")).select("bid", "s.a", "s.b")
+    rows = blocks.select("bid", "kind", F.explode(pairs).alias("s")).select("bid", "kind", "s.a", "s.b")
     a, b = (vertices.select(F.col("vid").alias(k), F.col("x").alias(f"{k}x"), F.col("y").alias(f"{k}y")) for k in ("a", "b"))
-    return rows.join(a, "a").join(b, "b").select("bid", "ax", "ay", "bx", "by")
+    return rows.join(a, "a").join(b, "b").select("bid", "kind", "ax", "ay", "bx", "by")

@@ -29,8 +29,8 @@ def members_allpairs(vertices: DataFrame, sides: DataFrame, r: int) -> DataFrame
     return vertices.withColumnRenamed("vid", "home").join(sides, _touch(r)).select("home", "bid").distinct()
 
 
-def members_tree(vertices: DataFrame, sides: DataFrame, nodes: DataFrame, leaves: DataFrame, r: int) -> DataFrame:
-    """The same by descending the box tree level by level; boxes inside the disc give all their blocks at once."""
+def members_tree(vertices: DataFrame, sides: DataFrame, nodes: DataFrame, leaves: DataFrame, r: int, bits: int = 4) -> DataFrame:
+    """The same by descending the box tree level by level; boxes inside the disc give all their blocks at once. `leaves`: bid, node_id."""
     top = nodes.agg(F.max("level")).first()[0]
     if top is None:
         return vertices.select(F.col("vid").alias("home")).join(sides.select("bid"), F.lit(False))
@@ -46,7 +46,6 @@ def members_tree(vertices: DataFrame, sides: DataFrame, nodes: DataFrame, leaves
         full = seen.filter(box_max_dist2(F.col("x"), F.col("y"), *box) <= r2).select("home", F.lit(level).alias("level"), "node_id")
         inside = full if inside is None else inside.unionByName(full)
         front = seen.filter(box_max_dist2(F.col("x"), F.col("y"), *box) > r2).select("home", "x", "y", "node_id")
-    bits = (leaves.select("level_bits").first() or [2])[0]
     under = leaves.select("bid", "node_id", F.explode(F.sequence(F.lit(0), F.lit(top))).alias("level")).select("bid", "level", F.expr(f"node_id >> ({bits} * level)").alias("node_id"))
     bulk = inside.join(under, ["level", "node_id"]).select("home", "bid")
     tested = front.join(leaves.select("bid", "node_id"), "node_id").join(sides, "bid").filter(_touch(r)).select("home", "bid")

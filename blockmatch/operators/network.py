@@ -92,8 +92,14 @@ def edge_maps(edge_poi: DataFrame) -> DataFrame:
     return edge_poi.groupBy("eid").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("poi_type", "cnt")))).alias("counts"))
 
 
-def components(vertices: DataFrame, edges: DataFrame, cuts: Cuts) -> DataFrame:
-    """vid, comp: least vertex reachable; label passing with pointer jumps over written tables."""
+#: Edges of a network that one task walks; larger ones are labelled by joins.
+SMALL_EDGES = 200_000
+
+
+def components(vertices: DataFrame, edges: DataFrame, cuts: Cuts, strategy: str = "auto") -> DataFrame:
+    """vid, comp: least vertex reachable; label passing with pointer jumps over written tables ('joins'), or one task for a small network ('trace')."""
+    if strategy == "trace" or (strategy == "auto" and edges.count() <= SMALL_EDGES):
+        return small_components(vertices, edges)
     both = cuts.cut(edges.select(F.col("u").alias("a"), F.col("v").alias("b")).unionByName(edges.select(F.col("v").alias("a"), F.col("u").alias("b"))), "both")
     labels = cuts.cut(vertices.select("vid", F.col("vid").alias("comp")), "labels")
     while True:
@@ -105,57 +111,113 @@ def components(vertices: DataFrame, edges: DataFrame, cuts: Cuts) -> DataFrame:
             return labels.select("vid", "comp")
 
 
-def generated_vertices(keys: DataFrame, key: str, dist: str = "uniform", seed_column: str | None = None) -> DataFrame:
-    """Vertices spread uniformly over a square, or near seeds of a square ('cluster')."""
+def small_components(vertices: DataFrame, edges: DataFrame) -> DataFrame:
+    """vid, comp like `components`, by one task; for networks of a checked size."""
+    import pandas as pd
+
+    def run(batches):
+        top: dict[int, int] = {}
+
+        def find(a: int) -> int:
+            while (up := top.setdefault(a, a)) != a:
+                top[a] = a = top[up]
+            return a
+
+        for links in batches:
+            for u, v in zip(links["u"].tolist(), links["v"].tolist()):
+                a, b = find(u), find(v)
+                top[max(a, b)] = min(a, b)
+        yield pd.DataFrame({"vid": list(top), "comp": [find(v) for v in top]}, dtype="int64")
+
+    both = edges.select("u", "v").unionByName(vertices.select(F.col("vid").alias("u"), F.col("vid").alias("v")))
+    return both.repartition(1).mapInPandas(run, "vid long, comp long")
+
+
+def largest_part(net: Network, cuts: Cuts) -> Network:
+    """The connected network of the largest component (ties: the one with the smallest vertex)."""
+    part = cuts.cut(components(net.vertices, net.edges, cuts), "parts")
+    giant = F.broadcast(part.groupBy("comp").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "comp").limit(1).select("comp"))
+    inside = part.join(giant, "comp").select("vid")
+    edges = net.edges.join(inside.withColumnRenamed("vid", "u"), "u", "left_semi")
+    poi = net.edge_poi.join(edges.select("eid"), "eid", "left_semi") if net.edge_poi is not None else None
+    return Network(net.vertices.join(inside, "vid", "left_semi"), edges, poi, net.m)
+
+
+def generated_vertices(keys: DataFrame, key: str, dist: str = "uniform", seed_column: str | None = None, seed: int = 0) -> DataFrame:
+    """Vertices spread uniformly over a square, or near seeds of a square ('cluster'); another seed gives other places."""
     side = int(CELL * max(keys.count(), 1) ** 0.5)
-    k = F.col(key).cast("long")
+    k, at = F.col(key).cast("long"), 100 * seed
     if dist == "uniform":
-        x, y = spread(k, 11, side), spread(k, 12, side)
+        x, y = spread(k, at + 11, side), spread(k, at + 12, side)
     else:
         s, reach = F.col(seed_column).cast("long") + 1, max(side // 8, 1)
-        x = spread(s, 13, side) + spread(k, 15, reach) - spread(k, 17, reach)
-        y = spread(s, 14, side) + spread(k, 16, reach) - spread(k, 18, reach)
+        x = spread(s, at + 13, side) + spread(k, at + 15, reach) - spread(k, at + 17, reach)
+        y = spread(s, at + 14, side) + spread(k, at + 16, reach) - spread(k, at + 18, reach)
     found = keys.select(k.alias("vid"), x.cast("long").alias("x"), y.cast("long").alias("y"))
     return found.groupBy("x", "y").agg(F.min("vid").alias("vid")).select("vid", "x", "y")
 
 
-def near_links(vertices: DataFrame, degree: int, reach: int) -> DataFrame:
-    """Each vertex to its nearest others within a reach: a grid join, then a rank within the vertex."""
+def near_links(vertices: DataFrame, degree: int, reach: int, deg_max: int | None = None, seed: int = 0) -> DataFrame:
+    """Each vertex to its nearest others within a reach, `degree` to `deg_max` of them by a hash: a grid join, then a rank within the vertex."""
     cell = lambda c: F.floor(F.col(c) / reach).cast("long")
     here = vertices.withColumns({"cx": cell("x"), "cy": cell("y")})
     around = vertices.select(F.col("vid").alias("w"), F.col("x").alias("wx"), F.col("y").alias("wy"), cell("x").alias("gx"), cell("y").alias("gy"))
     around = around.withColumn("gx", F.explode(F.sequence(F.col("gx") - 1, F.col("gx") + 1))).withColumn("gy", F.explode(F.sequence(F.col("gy") - 1, F.col("gy") + 1)))
     pairs = here.join(around, (F.col("cx") == F.col("gx")) & (F.col("cy") == F.col("gy")) & (F.col("vid") != F.col("w")))
     pairs = pairs.withColumn("d2", dist2(F.col("x"), F.col("y"), F.col("wx"), F.col("wy"))).filter(F.col("d2") <= reach * reach)
-    best = pairs.withColumn("nth", F.row_number().over(W.partitionBy("vid").orderBy("d2", "w"))).filter(F.col("nth") <= degree)
+    best = pairs.withColumn("nth", F.row_number().over(W.partitionBy("vid").orderBy("d2", "w"))).filter(F.col("nth") <= degree + spread(F.col("vid"), 100 * seed + 19, (deg_max or degree) - degree + 1))
     links = best.select(F.least("vid", "w").alias("u"), F.greatest("vid", "w").alias("v"), "d2").distinct()
     return links.withColumn("eid", F.xxhash64("u", "v").bitwiseAND(F.lit((1 << 60) - 1)))
 
 
 def crosses(a, b, c, d) -> F.Column:
-    """Whether two segments cross properly, or one end lies inside the other; each argument an (x, y) pair."""
+    """Whether two segments cross, or an end of one lies inside the other; each argument an (x, y) pair. Sharing an end isn't crossing."""
     turn = lambda p, q, r: F.signum((q[0] - p[0]) * (r[1] - p[1]) - (q[1] - p[1]) * (r[0] - p[0]))
-    return (turn(a, b, c) * turn(a, b, d) < 0) & (turn(c, d, a) * turn(c, d, b) < 0)
+    other = lambda p, q: (p[0] != q[0]) | (p[1] != q[1])
+    on = lambda p, q, r: (turn(p, q, r) == 0) & other(r, p) & other(r, q) & r[0].between(F.least(p[0], q[0]), F.greatest(p[0], q[0])) & r[1].between(F.least(p[1], q[1]), F.greatest(p[1], q[1]))
+    proper = (turn(a, b, c) * turn(a, b, d) < 0) & (turn(c, d, a) * turn(c, d, b) < 0)
+    return proper | on(a, b, c) | on(a, b, d) | on(c, d, a) | on(c, d, b)
 
 
-def planarize(links: DataFrame, vertices: DataFrame, reach: int) -> DataFrame:
-    """Links that no shorter link (ties: smaller id) crosses; a grid join of links with links."""
+def crossings(links: DataFrame, vertices: DataFrame, reach: int) -> DataFrame:
+    """eid, by: each link and the shorter links (ties: smaller id) that cross it; a grid join of links with links."""
     a, b = (vertices.select(F.col("vid").alias(k), F.col("x").alias(f"x_{k}"), F.col("y").alias(f"y_{k}")) for k in ("u", "v"))
     rows = links.join(a, "u").join(b, "v")
     span = lambda c: F.sequence(F.floor(F.least(f"{c}_u", f"{c}_v") / reach), F.floor(F.greatest(f"{c}_u", f"{c}_v") / reach))
     cells = rows.withColumn("gx", F.explode(span("x"))).withColumn("gy", F.explode(span("y")))
-    other = cells.select(*[F.col(c).alias(f"o_{c}") for c in ("eid", "d2", "u", "v", "x_u", "y_u", "x_v", "y_v")], "gx", "gy")
+    other = cells.select(*[F.col(c).alias(f"o_{c}") for c in ("eid", "d2", "x_u", "y_u", "x_v", "y_v")], "gx", "gy")
     pt = lambda p, k: (F.col(f"{p}x_{k}"), F.col(f"{p}y_{k}"))
     shorter = F.struct("o_d2", "o_eid") < F.struct(F.col("d2").alias("o_d2"), F.col("eid").alias("o_eid"))
-    apart = (F.col("u") != F.col("o_u")) & (F.col("u") != F.col("o_v")) & (F.col("v") != F.col("o_u")) & (F.col("v") != F.col("o_v"))
-    bad = cells.join(other, ["gx", "gy"]).filter(shorter & apart & crosses(pt("", "u"), pt("", "v"), pt("o_", "u"), pt("o_", "v"))).select("eid").distinct()
-    return links.join(bad, "eid", "left_anti")
+    return cells.join(other, ["gx", "gy"]).filter(shorter & crosses(pt("", "u"), pt("", "v"), pt("o_", "u"), pt("o_", "v"))).select("eid", F.col("o_eid").alias("by")).distinct()
+
 
+def planarize(links: DataFrame, vertices: DataFrame, reach: int, rounds: int = 1, cuts: Cuts | None = None) -> DataFrame:
+    """A planar part of the links: after one round, those that no shorter link crosses.
 
-def generate_network(keys: DataFrame, key: str, dist: str = "uniform", degree: int = 3, seed_column: str | None = None, cuts: Cuts | None = None) -> Network:
-    """A planar network of near neighbours on uniform or clustered positions."""
+    Each further round also keeps links that only dropped ones crossed; as many rounds as it
+    takes give what adding the shortest first, unless it crosses one that is there, gives.
+    """
+    if rounds == 1:
+        return links.join(crossings(links, vertices, reach).select("eid").distinct(), "eid", "left_anti")
+    cuts = cuts or Cuts(links.sparkSession)
+    pairs = cuts.cut(crossings(links, vertices, reach), "crossings")
+    kept = cuts.cut(links.select("eid").join(pairs, "eid", "left_anti"), "kept")
+    open_ = cuts.cut(pairs.select("eid").distinct(), "open")
+    for _ in range(rounds - 1):
+        gone = pairs.join(kept.withColumnRenamed("eid", "by"), "by", "left_semi").select("eid").distinct()
+        open_ = cuts.cut(open_.join(gone, "eid", "left_anti").join(kept, "eid", "left_anti"), "open")
+        if not open_.take(1):
+            break
+        pairs = cuts.cut(pairs.join(open_, "eid", "left_semi").join(open_.withColumnRenamed("eid", "by"), "by", "left_semi"), "crossings")
+        kept = cuts.cut(kept.unionByName(open_.join(pairs, "eid", "left_anti")), "kept")
+    return links.join(kept, "eid", "left_semi")
+
+
+def generate_network(keys: DataFrame, key: str, dist: str = "uniform", degree: int = 3, seed_column: str | None = None, cuts: Cuts | None = None, deg_max: int | None = None, seed: int = 0, rounds: int = 1, connected: bool = False) -> Network:
+    """A planar network of near neighbours on uniform or clustered positions, `degree` to `deg_max` a vertex; `connected` keeps its largest part."""
     cuts = cuts or Cuts(keys.sparkSession)
-    vertices = cuts.cut(generated_vertices(keys, key, dist, seed_column), "vertices")
-    links = cuts.cut(near_links(vertices, degree, 2 * CELL), "links")
-    edges = planarize(links, vertices, 2 * CELL)
-    return Network(vertices, cuts.cut(with_length(edges.select("eid", "u", "v"), vertices), "edges"))
+    vertices = cuts.cut(generated_vertices(keys, key, dist, seed_column, seed), "vertices")
+    links = cuts.cut(near_links(vertices, degree, 2 * CELL, deg_max, seed), "links")
+    edges = planarize(links, vertices, 2 * CELL, rounds, cuts)
+    net = Network(vertices, cuts.cut(with_length(edges.select("eid", "u", "v"), vertices), "edges"))
+    return largest_part(net, cuts) if connected else net

@@ -8,16 +8,21 @@ suffice; `pairwise` keeps the literal double sum.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.geometry import box_gap2
 from ..functions.vectors import cosine, dot
 from ..params import SearchParams
+from ..sources.tables import sent
+
+#: Slack of comparisons of a bound with the threshold.
+SLACK = 1e-12
 
 
 def query_stats(stats: DataFrame, queries: DataFrame) -> DataFrame:
     """qid, kind, q_cnt, q_usum, q_umax, q_csum, q_cmax, n_kinds of the query communities."""
-    rows = queries.select("qid", "home").join(stats, "home")
+    rows = sent(queries.select("qid", "home")).join(stats, "home")
     n = rows.groupBy("qid").agg(F.count("*").alias("n_kinds"))
     return rows.join(n, "qid").select("qid", "kind", "n_kinds", *[F.col(c).alias(f"q_{c}") for c in ("cnt", "usum", "umax", "csum", "cmax")])
 
@@ -26,9 +31,10 @@ def _n(params: SearchParams) -> F.Column:
     return F.col("n_kinds") if params.n_mode == "query" else F.lit(len(params.kinds))
 
 
-def _terms(params: SearchParams) -> dict[str, F.Column]:
+def _terms(params: SearchParams) -> dict[str, Column]:
     """Score and bounds of one kind."""
-    total, most, q_total, q_most = ("usum", "umax", "q_usum", "q_umax") if params.normalize else ("csum", "cmax", "q_csum", "q_cmax")
+    total, q_total = ("usum", "q_usum") if params.normalize else ("csum", "q_csum")
+    most, q_most = ("umax", "q_umax") if params.normalize and params.bound_basis == "unit" else ("cmax", "q_cmax")
     other = F.col("cnt") if params.denominator == "pairs" else F.lit(1)
     return {
         "sim": dot(F.col(total), F.col(q_total)) / F.col("q_cnt") / other / _n(params),
@@ -38,10 +44,66 @@ def _terms(params: SearchParams) -> dict[str, F.Column]:
     }
 
 
+# -- the same on one row with a home's kinds (a map) and a query's kinds `asked` (an array) --
+
+
+def asked_rows(qstats: DataFrame, *keys: str) -> DataFrame:
+    """qid (and keys), n_kinds, asked: one row a query, its kinds as an array of structs."""
+    entry = F.struct("kind", *[F.col(f"q_{c}").alias(c) for c in ("cnt", "usum", "umax", "csum", "cmax")])
+    return qstats.groupBy("qid", *keys).agg(F.count("*").cast("int").alias("n_kinds"), F.array_sort(F.collect_list(entry)).alias("asked"))
+
+
+def row_score(params: SearchParams, part: str = "sim") -> Column:
+    """Score or bound of a row's home and query: a sum over the query's kinds, without a shuffle."""
+    total = "usum" if params.normalize else "csum"
+    most = "umax" if params.normalize and params.bound_basis == "unit" else "cmax"
+
+    def term(e: Column) -> Column:
+        own = F.col("kinds")[e["kind"]]
+        pairs = F.coalesce(own["cnt"].cast("double"), F.lit(1.0)) if params.denominator == "pairs" else F.lit(1.0)
+        value = {
+            "sim": lambda: dot(own[total], e[total]) / e["cnt"] / pairs / _n(params),
+            "printed": lambda: dot(own[most], e[most]),
+            "safe": lambda: own["cnt"] * dot(own[most], e[most]) / pairs / _n(params),
+            "tight": lambda: own["cnt"] * dot(own[most], e[total]) / e["cnt"] / pairs / _n(params),
+        }[part]()
+        return F.coalesce(value, F.lit(0.0))
+
+    return F.aggregate("asked", F.lit(0.0), lambda acc, e: acc + term(e))
+
+
+def row_shares_kind() -> Column:
+    return F.exists("asked", lambda e: F.col("kinds")[e["kind"]].isNotNull())
+
+
+def _gain(block: Column, asked: Column, params: SearchParams) -> Column:
+    return dot(block["uvec"], asked["usum"]) if params.normalize else dot(block["vec"], asked["csum"])
+
+
+def block_passes(block: Column, asked: Column, params: SearchParams, most: Column) -> Column:
+    """Whether a block's summed cosine with the query's blocks of its kind reaches theta |q| / (most blocks of the kind beside it).
+
+    If a score reaches theta, so does the mean of the terms of the kinds it counts, hence the
+    term of one kind of the query: then one of its blocks passes. With n_mode 'catalog' the
+    mean is over more kinds, so that kind's term is even larger; the test needs no change.
+    """
+    other = most if params.denominator == "query" else F.lit(1)
+    return _gain(block, asked, params) * other >= params.theta * asked["cnt"] - SLACK
+
+
+def row_is_candidate(params: SearchParams, top: dict[int, int]) -> Column:
+    """Whether one of the blocks that a row's home holds passes; `top`: the largest counts by kind, for count_scope 'global'."""
+    most = lambda b: b["max_cnt"]
+    if params.count_scope == "global":
+        table = F.create_map(*[F.lit(x) for pair in (top or {0: 0}).items() for x in pair])
+        most = lambda b: table[b["kind"]]
+    return F.exists("held", lambda b: F.exists("asked", lambda e: (b["kind"] == e["kind"]) & block_passes(b, e, params, most(b))))
+
+
 def scores(stats: DataFrame, qstats: DataFrame, params: SearchParams, parts: tuple[str, ...] = ("sim",)) -> DataFrame:
     """qid, home and the asked sums over kinds; homes that share no kind with the query don't appear."""
     terms = _terms(params)
-    rows = stats.join(F.broadcast(qstats), "kind")  # one row per query and kind
+    rows = stats.join(sent(qstats), "kind")  # one row per query and kind
     return rows.groupBy("qid", "home").agg(*[F.sum(terms[p]).alias(p) for p in parts])
 
 
@@ -52,7 +114,7 @@ def pairwise(members: DataFrame, blocks: DataFrame, queries: DataFrame, params:
     asked = queries.select("qid", "home").join(own, "home").select("qid", "kind", F.col("v").alias("qv"))
     size = asked.groupBy("qid", "kind").agg(F.count("*").alias("q_cnt"))
     kinds = size.groupBy("qid").agg(F.count("*").alias("n_kinds"))
-    pairs = own.join(F.broadcast(asked.join(size, ["qid", "kind"]).join(kinds, "qid")), "kind")
+    pairs = own.join(sent(asked.join(size, ["qid", "kind"]).join(kinds, "qid")), "kind")
     if params.denominator == "pairs":
         pairs = pairs.join(own.groupBy("home", "kind").agg(F.count("*").alias("cnt")), ["home", "kind"])
     else:
@@ -69,44 +131,79 @@ def candidate_blocks(blocks: DataFrame, bounds: DataFrame, qstats: DataFrame, pa
     if params.count_scope == "global":
         bounds = bounds.join(blocks.select("bid", "kind"), "bid")
         top = bounds.groupBy("kind").agg(F.max("max_cnt").alias("max_cnt"))
-        rows = blocks.join(F.broadcast(top), "kind")
+        rows = blocks.join(F.broadcast(top), "kind")  # a row for each kind
     else:
         rows = blocks.join(bounds.select("bid", "max_cnt"), "bid")
     other = F.col("max_cnt") if params.denominator == "query" else F.lit(1)
-    need = params.theta * F.col("q_cnt") * (F.lit(1.0) if params.n_mode == "query" else F.lit(1.0))
-    return rows.join(F.broadcast(qstats), "kind").filter(gain * other >= need - 1e-12).select("qid", "bid")
+    need = params.theta * F.col("q_cnt")
+    return rows.join(sent(qstats), "kind").filter(gain * other >= need - SLACK).select("qid", "bid", (gain / F.col("q_cnt")).alias("score"))
 
 
 def candidate_homes(candidates: DataFrame, members: DataFrame) -> DataFrame:
-    """qid, home of communities that hold a candidate block (of any kind)."""
-    return candidates.join(members, "bid").select("qid", "home").distinct()
+    """qid, home, best_score of communities that hold a candidate block (of any kind); the list is in descending order of best_score."""
+    return candidates.join(members, "bid").groupBy("qid", "home").agg(F.max("score").alias("best_score"))
+
+
+def united(asked: DataFrame, key: str, m: int) -> DataFrame:
+    """Queries of one key as one: by kind the largest sums, place by place, and the smallest count, so what one of them keeps the union keeps."""
+    rows = asked.select(key, F.explode("asked").alias("e")).select(key, "e.*")
+    per = rows.groupBy(key, "kind").agg(F.min("cnt").alias("cnt"), *[F.array(*[F.max(F.col(c)[i]) for i in range(m)]).alias(c) for c in ("usum", "umax", "csum", "cmax")])
+    entry = F.struct("kind", "cnt", "usum", "umax", "csum", "cmax")
+    return per.groupBy(key).agg(F.array_sort(F.collect_list(entry)).alias("asked"))
 
 
-def retrieve(nodes: DataFrame, leaves: DataFrame, blocks: DataFrame, bounds: DataFrame, qstats: DataFrame, params: SearchParams, cuts) -> tuple[DataFrame, DataFrame]:
-    """Candidate blocks by descending the box tree, and the log qid, level, visited.
+def retrieve(art, asked: DataFrame, params: SearchParams, near: DataFrame | None = None, key: str = "qid", log: bool = False) -> tuple[DataFrame, DataFrame | None]:
+    """Candidate blocks (qid, bid, score) by descending the box tree, and the log (key, level, visited).
 
     A node goes on if for some kind its largest vector times the query's sum reaches the
-    threshold at its largest count; a node without a common type falls by the same product.
+    threshold at its largest count (a node without a common type falls by the same product),
+    and if its box may hold blocks of a home `near` (key, x0, y0, x1, y1 of the places
+    distances are measured from, reach). Queries with one `key` descend as one union and part
+    at the leaves. Only entries of leaves that were reached are tested.
     """
-    top = nodes.agg(F.max("level")).first()[0]
-    none = blocks.select(F.lit(0).alias("qid"), "bid").limit(0)
-    if top is None:
-        return none, none.select("qid", F.lit(0).alias("level"), F.lit(0).cast("long").alias("visited")).limit(0)
-    vector = "umax" if params.normalize else "cmax"
-    q = F.broadcast(qstats.select("qid", F.col("kind").alias("q_kind"), "q_cnt", F.col("q_usum" if params.normalize else "q_csum").alias("q_sum")))
-    front = qstats.select("qid").distinct().withColumn("parent", F.lit(0).cast("long"))
-    log = None
-    for level in range(top, -1, -1):
-        at = nodes.filter(F.col("level") == level)
-        seen = cuts.cut(front.join(at, F.lit(True) if level == top else F.col("parent") == F.col("parent_id")).select("qid", "node_id", "kinds"), f"visit{level}")
-        line = seen.groupBy("qid").agg(F.count("*").alias("visited")).withColumn("level", F.lit(level))
-        log = line if log is None else log.unionByName(line)
-        rows = seen.select("qid", "node_id", F.explode("kinds").alias("e")).join(q, ["qid"]).filter("e.kind = q_kind")
-        other = F.col("e.max_cnt") if params.denominator == "query" else F.lit(1)
-        front = rows.filter(dot(F.col(f"e.{vector}"), F.col("q_sum")) * other >= params.theta * F.col("q_cnt") - 1e-12).select("qid", F.col("node_id").alias("parent")).distinct()
-    near = front.join(leaves.select("bid", F.col("node_id").alias("parent")), "parent").select("qid", "bid")
-    found = near.join(candidate_blocks(blocks, bounds, qstats, params), ["qid", "bid"])
-    return found, log.select("qid", "level", "visited")
-
-
-__all__ = ["candidate_blocks", "candidate_homes", "cosine", "pairwise", "query_stats", "retrieve", "scores"]
+    levels = art.levels
+    alike = F.broadcast(united(asked, key, art.m)) if key != "qid" else None
+    front = alike if alike is not None else asked.select("qid", "asked")
+    few = sent(front) if alike is None else front
+    vector, total = ("umax", "usum") if params.normalize else ("cmax", "csum")
+
+    def passes() -> Column:
+        other = lambda k: k["max_cnt"] if params.denominator == "query" else F.lit(1)
+        hit = lambda k, e: (k["kind"] == e["kind"]) & (dot(k[vector], e[total]) * other(k) >= params.theta * e["cnt"] - SLACK)
+        test = F.exists("kinds", lambda k: F.exists("asked", lambda e: hit(k, e)))
+        if near is not None:
+            reach = F.col("reach") + params.radius
+            test = test & (box_gap2(*[F.col(c) for c in ("xmin", "ymin", "xmax", "ymax", "x0", "y0", "x1", "y1")]) <= reach * reach)
+        return test
+
+    logs, found = [], None
+    for level in range(levels - 1, -1, -1):
+        at = art.nodes.filter(F.col("level") == level).select("node_id", "parent_id", "xmin", "ymin", "xmax", "ymax", "kinds")
+        if found is None:
+            seen = at.crossJoin(few.select(key))  # the root, once for each query
+        else:
+            seen = at.join(found.withColumnRenamed("node_id", "parent_id"), "parent_id")
+        if log:
+            seen = art.cut.cut(seen, f"visit{level}")
+            logs.append(seen.groupBy(key).agg(F.count("*").alias("visited")).withColumn("level", F.lit(level)))
+        rows = seen.join(few, key)
+        if near is not None:
+            rows = rows.join(sent(near), key)
+        found = rows.filter(passes()).select(key, "node_id")
+    visits = None
+    for line in logs:
+        line = line.select(key, "level", "visited")
+        visits = line if visits is None else visits.unionByName(line)
+    if found is None:  # an empty tree
+        none = asked.limit(0)
+        return none.select("qid", F.lit(0).cast("long").alias("bid"), F.lit(0.0).alias("score")), none.select(key, F.lit(0).alias("level"), F.lit(0).cast("long").alias("visited"))
+    leaves = art.entries.join(found, "node_id").join(sent(asked.select(*{"qid", key}, "asked")), key)
+    rows = leaves.select("qid", "bid", "block", F.explode("asked").alias("e")).filter("block.kind = e.kind")
+    most = F.col("block.max_cnt")
+    if params.count_scope == "global":
+        most = F.create_map(*[F.lit(x) for pair in (art.top_counts or {0: 0}).items() for x in pair])[F.col("block.kind")]
+    rows = rows.filter(block_passes(F.col("block"), F.col("e"), params, most))
+    return rows.select("qid", "bid", (_gain(F.col("block"), F.col("e"), params) / F.col("e.cnt")).alias("score")), visits
+
+
+__all__ = ["asked_rows", "block_passes", "candidate_blocks", "candidate_homes", "cosine", "pairwise", "query_stats", "retrieve", "row_is_candidate", "row_score", "row_shares_kind", "scores", "united"]

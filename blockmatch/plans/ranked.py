@@ -1,7 +1,17 @@
-"""Ranked search: the k communities nearest to a location whose score reaches the threshold."""
+"""Ranked search: the k communities nearest to a location whose score reaches the threshold.
+
+A search reads the wide table, one row a home. In order: only homes within a distance of the
+query are joined to it (grid cells of that size); of these, homes without a candidate block
+go, then those whose score bound is below the threshold; the exact score is computed for the
+rest; a query is done when k homes were found, since all others are farther, and only the
+others go on with twice the distance. So neither scores nor bounds of far homes are computed
+and the table of homes is never shuffled.
+"""
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -9,8 +19,13 @@ from pyspark.sql import functions as F
 from ..functions.geometry import dist2
 from ..operators import similarity as S
 from ..params import SearchParams
+from ..sources.tables import sent
 from .artifacts import Artifacts
 
+#: Answers of a batch up to this number (k a query) are held by the driver between rounds; beyond it they are written.
+HELD_ROWS = 20_000
+FOUND = "qid long, home long, sim double, d2 long, set_key string"
+
 
 def _located(queries: DataFrame, params: SearchParams) -> DataFrame:
     if params.anchor_xy is None:
@@ -18,96 +33,152 @@ def _located(queries: DataFrame, params: SearchParams) -> DataFrame:
     return queries.withColumn("qx", F.lit(params.anchor_xy[0]).cast("long")).withColumn("qy", F.lit(params.anchor_xy[1]).cast("long"))
 
 
-def qualified(art: Artifacts, queries: DataFrame, params: SearchParams) -> DataFrame:
-    """qid, home, sim, d2 of the communities that reach theta, with the prunings of `params`."""
+def asked_of(art: Artifacts, queries: DataFrame, n: int | None = None) -> DataFrame:
+    """qid, n_kinds, asked of query communities that are homes' own: their rows of the wide table."""
+    rows = art.wide.select("home", "kinds").join(sent(queries.select("qid", "home"), n), "home")
+    entry = F.transform(F.map_entries("kinds"), lambda e: F.struct(e["key"].alias("kind"), *[e["value"][c].alias(c) for c in ("cnt", "usum", "umax", "csum", "cmax")]))
+    return rows.select(F.col("qid").cast("long").alias("qid"), F.size("kinds").alias("n_kinds"), F.array_sort(entry).alias("asked"))
+
+
+def near_homes(art: Artifacts, spots: DataFrame, n: int, reach: int, beyond: int, box: tuple[int, int, int, int]) -> DataFrame:
+    """Homes with their queries, farther than `beyond` and within `reach`: an equi-join on cells as wide as the reach; `box` bounds the places of the queries."""
+    cell = lambda v, k=0: F.floor(v / reach) + k
+    steps = F.sequence(F.lit(-1), F.lit(1))
+    cells = spots.withColumn("_i", F.explode(steps)).withColumn("_j", F.explode(steps)).withColumns({"gx": cell(F.col("qx")) + F.col("_i"), "gy": cell(F.col("qy")) + F.col("_j")}).drop("_i", "_j")
+    x0, y0, x1, y1 = box
+    rows = art.wide.filter(F.col("x").between(x0 - reach, x1 + reach) & F.col("y").between(y0 - reach, y1 + reach))
+    rows = rows.withColumns({"gx": cell(F.col("x")), "gy": cell(F.col("y"))}).join(sent(cells, 9 * n), ["gx", "gy"])
+    d2 = dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy"))
+    return rows.withColumn("d2", d2).filter((F.col("d2") <= reach * reach) & (F.col("d2") > beyond * beyond if beyond else F.lit(True)))
+
+
+def qualified(art: Artifacts, rows: DataFrame, asked: DataFrame, n: int, params: SearchParams, near: DataFrame | None = None) -> DataFrame:
+    """qid, home, sim, d2, set_key of pairs (home, query) that reach theta: candidates, then the bound, then the score."""
+    rows = rows.join(sent(asked, n), "qid")
+    if params.exclude_home:
+        rows = rows.filter(F.col("home") != F.col("own"))
+    if params.use_candidates and params.use_tree:
+        found, _ = S.retrieve(art, asked, params, near, "sid" if "sid" in asked.columns else "qid")
+        rows = rows.join(found.join(art.members, "bid").select("qid", "home").distinct(), ["qid", "home"], "left_semi")
+    elif params.use_candidates:
+        rows = rows.filter(S.row_is_candidate(params, art.top_counts if params.count_scope == "global" else {}))
+    else:
+        rows = rows.filter(S.row_shares_kind())
+    if params.bound != "none":
+        rows = rows.filter(S.row_score(params, params.bound) >= params.theta - S.SLACK)
+    return rows.withColumn("sim", S.row_score(params)).filter(F.col("sim") >= params.theta - S.SLACK).select("qid", "home", "sim", "d2", "set_key")
+
+
+def nearest(rows: DataFrame, params: SearchParams) -> DataFrame:
+    """The k nearest of each query with their rank, ties by home; the rank limit is pushed before the shuffle."""
+    order = W.partitionBy("qid").orderBy("d2", "home")
+    if params.distinct_sets:
+        same = W.partitionBy("qid", "set_key").orderBy("d2", "home")
+        rows = rows.withColumn("_nth", F.row_number().over(same)).filter("_nth = 1").drop("_nth")
+    return rows.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= params.k)
+
+
+def first_reach(art: Artifacts, k: int) -> int:
+    """A distance within which about four times k homes lie, were they spread evenly."""
+    x0, y0, x1, y1, n = art.extent
+    area = max(x1 - x0, 1) * max(y1 - y0, 1)
+    return max(art.radius, int(math.sqrt(4 * k * area / (math.pi * max(n, 1)))))
+
+
+def found_homes(art: Artifacts, spots: DataFrame, asked: DataFrame, params: SearchParams) -> DataFrame:
+    """qid, home, sim, d2, set_key, rank: the k nearest qualifying homes of each query.
+
+    `spots`: a written or local table qid, qx, qy (and `own`, the home to leave out);
+    `asked`: qid, n_kinds, asked (and `sid`, a key that shares one descent of the tree).
+    """
     art.require(params)
-    asked = S.query_stats(art.stats, queries)
-    stats = art.stats
-    parts = ("sim",) if params.bound == "none" else ("sim", params.bound)
-    rows = S.scores(stats, asked, params, parts)
-    if params.use_candidates:
+    at = spots.agg(F.min("qx"), F.min("qy"), F.max("qx"), F.max("qy"), F.count("*")).first()
+    n = at[4]
+    if not n:
+        return art.spark.createDataFrame([], FOUND + ", rank int")
+    x0, y0, x1, y1, _ = art.extent
+    far = int(max(abs(at[0] - x1), abs(at[2] - x0)) + max(abs(at[1] - y1), abs(at[3] - y0))) + 1
+    if not params.use_distance_stop:
+        rows = art.wide.crossJoin(sent(spots, n)).withColumn("d2", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")))
+        return nearest(qualified(art, rows, asked, n, params), params)
+    reach, beyond, left, held, tables = min(first_reach(art, params.k), far), 0, spots, [], None
+    small = n * params.k <= HELD_ROWS
+    while True:
+        near = None
         if params.use_tree:
-            found, _ = S.retrieve(art.nodes, art.leaves, art.blocks, art.bounds, asked, params, art.cut)
+            near = left.select("qid", *(["sid"] if "sid" in left.columns else []), "qx", "qy")
+            key = "sid" if "sid" in left.columns else "qid"
+            near = near.groupBy(key).agg(F.min("qx").alias("x0"), F.min("qy").alias("y0"), F.max("qx").alias("x1"), F.max("qy").alias("y1")).withColumn("reach", F.lit(reach).cast("long"))
+        rows = near_homes(art, left.drop("sid"), n, reach, beyond, at[:4])
+        rows = nearest(qualified(art, rows, asked, n, params, near), params).select("qid", "home", "sim", "d2", "set_key")
+        if small:
+            held += [tuple(r) for r in rows.collect()]  # k a query at most
+            found = art.spark.createDataFrame(held, FOUND)
         else:
-            found = S.candidate_blocks(art.blocks, art.bounds, asked, params)
-        rows = rows.join(S.candidate_homes(found, art.members), ["qid", "home"], "left_semi")
-    if params.bound != "none":
-        rows = rows.filter(F.col(params.bound) >= params.theta - 1e-12)
-    rows = rows.filter(F.col("sim") >= params.theta)
-    if params.exclude_home:
-        rows = rows.join(F.broadcast(queries.select("qid", "home")), ["qid", "home"], "left_anti")
-    at = art.vertices.withColumnRenamed("vid", "home")
-    return rows.join(at, "home").join(F.broadcast(_located(queries, params).select("qid", "qx", "qy")), "qid").select("qid", "home", "sim", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")).alias("d2"))
+            found = art.cut.cut(rows, "found")
+            tables = found = found if tables is None else tables.unionByName(found)
+        if reach >= far:
+            break
+        count = F.count_distinct("set_key") if params.distinct_sets else F.count("*")
+        done = found.groupBy("qid").agg(count.alias("n")).filter(F.col("n") >= params.k).select("qid")
+        if small:
+            sets: dict[int, set] = {}
+            for qid, home, _, _, key in held:
+                sets.setdefault(qid, set()).add(key if params.distinct_sets else home)
+            full = [q for q, s in sets.items() if len(s) >= params.k]
+            if len(full) == n:
+                break
+            left = spots.filter(~F.col("qid").isin(full)) if full else spots
+        else:
+            left = art.cut.cut(spots.join(done, "qid", "left_anti"), "left")
+            if not left.take(1):
+                break
+        beyond, reach = reach, min(2 * reach, far)
+    return nearest(found, params)
 
 
-def nearest(rows: DataFrame, k: int, by: tuple[str, ...] = ("qid",)) -> DataFrame:
-    """The k nearest of each query, ties by home; the rank limit is pushed before the shuffle."""
-    w = W.partitionBy(*by).orderBy("d2", "home")
-    return rows.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
+def spots_of(queries: DataFrame, params: SearchParams) -> DataFrame:
+    rows = _located(queries, params)
+    return rows.select(F.col("qid").cast("long").alias("qid"), "qx", "qy", *([F.col("home").alias("own")] if params.exclude_home else []))
 
 
-def answers(rows: DataFrame, params: SearchParams, by: tuple[str, ...] = ("qid",)) -> DataFrame:
-    out = nearest(rows, params.k, by)
-    return out.select(*by, F.col("rank").cast("int").alias("rank"), "home", F.round("sim", 6).alias("sim"), F.round(F.sqrt(F.col("d2").cast("double")), 6).alias("dist"))
+def answers(found: DataFrame) -> DataFrame:
+    """qid, rank, home, sim, dist, rounded."""
+    return found.select(F.col("qid").cast("int").alias("qid"), F.col("rank").cast("int").alias("rank"), "home", F.round("sim", 6).alias("sim"), F.round(F.sqrt(F.col("d2").cast("double")), 6).alias("dist"))
 
 
 def ranked_search(art: Artifacts, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
-    """qid, rank, home, sim, dist of the answers of all queries in one job."""
-    return answers(qualified(art, queries, params), params)
+    """qid, rank, home, sim, dist of the answers of all queries (qid, home, qx, qy) in one batch; a home without a community answers nothing."""
+    return answers(found_homes(art, spots_of(queries, params), asked_of(art, queries), params))
 
 
-def wide_search(art: Artifacts, home: int, params: SearchParams = SearchParams()) -> DataFrame:
-    """One query over the wide table: a scan, a map look-up for each kind of the query, and a heap of k; no shuffle."""
-    from ..functions.vectors import dot
+def ranked_one(art: Artifacts, home: int, params: SearchParams = SearchParams(), use_rings: bool = True) -> DataFrame:
+    """home, sim, d2 of one query's answers, in order.
 
+    The query's row is read once; its kinds are constants of the plan. By rings, only rows of
+    the wide table in a square around the location are read; without, one scan with a heap of k.
+    """
     art.require(params)
-    q = art.wide.filter(F.col("home") == home).first()
+    q = art.wide.filter(F.col("home") == home).select("x", "y", "kinds").first()
     if q is None:
         raise ValueError(f"vertex {home} has no community")
-    xy = params.anchor_xy or (q["x"], q["y"])
-    total = F.lit(0.0)
-    n = len(q["kinds"]) if params.n_mode == "query" else len(params.kinds)
-    for kind, s in sorted(q["kinds"].items()):
-        own = F.col("kinds")[kind]
-        asked = F.array(*[F.lit(float(v)) for v in (s["usum"] if params.normalize else s["csum"])])
-        term = dot(own["usum" if params.normalize else "csum"], asked) / s["cnt"] / n
-        if params.denominator == "pairs":
-            term = term / own["cnt"]
-        total = total + F.coalesce(term, F.lit(0.0))
-    rows = art.wide.select("home", total.alias("sim"), dist2(F.col("x"), F.col("y"), F.lit(xy[0]), F.lit(xy[1])).alias("d2")).filter(F.col("sim") >= params.theta)
-    if params.exclude_home:
-        rows = rows.filter(F.col("home") != home)
-    return rows.orderBy("d2", "home").limit(params.k)
-
-
-def ring_search(art: Artifacts, home: int, params: SearchParams = SearchParams(), first: int | None = None) -> DataFrame:
-    """One query by growing squares around the location: only homes nearby are scored until k lie within the square's inner circle."""
-    art.require(params)
-    v = art.vertices.filter(F.col("vid") == home).first()
-    x, y = params.anchor_xy or (v["x"], v["y"])
-    low = art.vertices.agg(F.min("x").alias("x0"), F.min("y").alias("y0"), F.max("x").alias("x1"), F.max("y").alias("y1")).first()
-    far = max(abs(x - low["x0"]), abs(x - low["x1"]), abs(y - low["y0"]), abs(y - low["y1"])) + 1
-    queries = art.spark.createDataFrame([(0, home, x, y)], "qid int, home long, qx long, qy long")
-    asked = S.query_stats(art.stats, queries)
-    reach = first or 4 * params.radius
-    while True:
-        near = art.vertices.filter(F.col("x").between(x - reach, x + reach) & F.col("y").between(y - reach, y + reach)).withColumnRenamed("vid", "home")
-        rows = S.scores(art.stats.join(near.select("home"), "home", "left_semi"), asked, params).filter(F.col("sim") >= params.theta)
-        rows = rows.join(near, "home").select("qid", "home", "sim", dist2(F.col("x"), F.col("y"), F.lit(x), F.lit(y)).alias("d2"))
-        if params.exclude_home:
-            rows = rows.filter(F.col("home") != home)
-        best = rows.orderBy("d2", "home").limit(params.k).collect()  # k rows
-        if reach >= far or (len(best) == params.k and best[-1]["d2"] <= reach * reach):
-            return answers(rows.filter(F.col("d2") <= (best[-1]["d2"] if best else -1)), params)
-        reach *= 2
+    x, y = params.anchor_xy or (q["x"], q["y"])
+    fields = "array<struct<kind:int,cnt:bigint,usum:array<double>,umax:array<double>,csum:array<double>,cmax:array<double>>>"
+    kinds = [{"kind": k, **s.asDict()} for k, s in sorted(q["kinds"].items())]
+    asked = art.spark.createDataFrame([(0, len(kinds), kinds, home)], f"qid long, n_kinds int, asked {fields}, own long")
+    if not use_rings:
+        rows = art.wide.withColumn("d2", dist2(F.col("x"), F.col("y"), F.lit(x), F.lit(y))).withColumn("qid", F.lit(0).cast("long"))
+        return qualified(art, rows, asked, 1, params).orderBy("d2", "home").limit(params.k).select("home", "sim", "d2")
+    spots = art.spark.createDataFrame([(0, x, y)], "qid long, qx long, qy long")
+    return found_homes(art, spots, asked, params).orderBy("rank").select("home", "sim", "d2")
 
 
 def scan_baseline(art: Artifacts, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
     """No index and no bound: similar blocks by a full scan, communities that hold them, literal scores, the k nearest."""
-    plain = params.but(bound="none", use_tree=False)
-    found = S.candidate_blocks(art.blocks, art.bounds, S.query_stats(art.stats, queries), plain)
-    rows = S.pairwise(art.members, art.blocks, queries, plain).join(S.candidate_homes(found, art.members), ["qid", "home"], "left_semi")
-    return _rank_scores(art, rows, queries, plain)
+    art.require(params.but(use_tree=False))
+    found = S.candidate_blocks(art.blocks, art.bounds, S.query_stats(art.stats, queries), params)
+    rows = S.pairwise(art.members, art.blocks, queries, params).join(S.candidate_homes(found, art.members), ["qid", "home"], "left_semi")
+    return _rank_scores(art, rows, queries, params)
 
 
 def enumerate_baseline(art: Artifacts, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
@@ -116,40 +187,46 @@ def enumerate_baseline(art: Artifacts, queries: DataFrame, params: SearchParams
 
 
 def _rank_scores(art: Artifacts, rows: DataFrame, queries: DataFrame, params: SearchParams) -> DataFrame:
-    at = art.vertices.withColumnRenamed("vid", "home")
-    rows = rows.filter(F.col("sim") >= params.theta).join(at, "home").join(F.broadcast(_located(queries, params).select("qid", "qx", "qy")), "qid")
-    return answers(rows.select("qid", "home", "sim", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")).alias("d2")), params)
+    at = art.wide.select("home", "x", "y", "set_key")
+    rows = rows.filter(F.col("sim") >= params.theta - S.SLACK).join(at, "home").join(sent(_located(queries, params).select("qid", "qx", "qy", F.col("home").alias("own"))), "qid")
+    if params.exclude_home:
+        rows = rows.filter(F.col("home") != F.col("own"))
+    rows = rows.select("qid", "home", "sim", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")).alias("d2"), "set_key")
+    return answers(nearest(rows, params))
 
 
 def pruning_report(art: Artifacts, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
-    """qid and the number of homes by the first test that removes them: candidates, bound, score, distance; and the pruning power in %.
+    """qid and the number of homes by the first test that removes them: candidates, bound, distance, score; and the pruning power in %.
 
     pruned_all: of all homes, by candidates, bound and distance; pruned_nominated: of the
-    nominated homes, by bound and distance.
+    nominated homes, by bound and distance. An accounting of every home: one pass over the
+    wide table, counted within the tasks.
     """
-    art.require(params)
-    asked = S.query_stats(art.stats, queries)
     bound = params.bound if params.bound != "none" else "safe"
-    rows = S.scores(art.stats, asked, params, ("sim", bound)).withColumnRenamed(bound, "ub")
-    homes = art.stats.select("home").distinct().join(F.broadcast(queries.select("qid", "qx", "qy")))
-    named = S.candidate_homes(S.candidate_blocks(art.blocks, art.bounds, asked, params), art.members).withColumn("named", F.lit(True))
-    at = art.vertices.withColumnRenamed("vid", "home")
-    rows = homes.join(rows, ["qid", "home"], "left").join(named, ["qid", "home"], "left").join(at, "home").withColumn("d2", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")))
-    fits = F.coalesce(F.col("sim") >= params.theta, F.lit(False))
-    kth = rows.filter(fits).withColumn("r", F.row_number().over(W.partitionBy("qid").orderBy("d2", "home"))).filter(F.col("r") <= params.k).groupBy("qid").agg(F.count("*").alias("found"), F.max("d2").alias("far"))
-    rows = rows.join(F.broadcast(kth), "qid", "left")
+    plain = params.but(use_tree=False)
+    best = found_homes(art, spots_of(queries, plain), asked_of(art, queries), plain)
+    far = best.groupBy("qid").agg(F.count("*").alias("found"), F.max("d2").alias("far"))
+    asked = asked_of(art, queries).join(spots_of(queries, plain).select("qid", "qx", "qy"), "qid").join(far, "qid", "left")
+    rows = art.wide.crossJoin(sent(asked, queries.count())).withColumn("d2", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")))
+    rows = rows.withColumns({"named": S.row_is_candidate(params, art.top_counts if params.count_scope == "global" else {}), "ub": S.row_score(params, bound), "sim": S.row_score(params)})
     beyond = F.coalesce((F.col("found") >= params.k) & (F.col("d2") > F.col("far")), F.lit(False))
-    why = F.when(F.col("named").isNull(), "candidate").when(F.coalesce(F.col("ub"), F.lit(0.0)) < params.theta - 1e-12, "bound").when(beyond, "distance").when(~fits, "score").otherwise("answer")
+    why = F.when(~F.col("named"), "candidate").when(F.col("ub") < params.theta - S.SLACK, "bound").when(beyond, "distance").when(F.col("sim") < params.theta - S.SLACK, "score").otherwise("answer")
     count = lambda w: F.sum(F.when(F.col("why") == w, 1).otherwise(0)).alias(w)
-    out = rows.select("qid", why.alias("why")).groupBy("qid").agg(F.count("*").alias("total"), *[count(w) for w in ("candidate", "bound", "distance", "score", "answer")])
+    out = rows.select(F.col("qid").cast("int").alias("qid"), why.alias("why")).groupBy("qid").agg(F.count("*").alias("total"), *[count(w) for w in ("candidate", "bound", "distance", "score", "answer")])
     power = lambda a, b: F.round(100.0 * a / b, 4)
     return out.withColumn("pruned_all", power(F.col("candidate") + F.col("bound") + F.col("distance"), F.col("total"))).withColumn("pruned_nominated", F.when(F.col("total") > F.col("candidate"), power(F.col("bound") + F.col("distance"), F.col("total") - F.col("candidate"))).otherwise(0.0))
 
 
+def recall(found: DataFrame, exact: DataFrame) -> DataFrame:
+    """Per query, the share of the exact answers that were found, and answers that aren't exact ones."""
+    hit = exact.select("qid", "home", F.lit(1).alias("true")).join(found.select("qid", "home", F.lit(1).alias("hit")), ["qid", "home"], "full")
+    return hit.groupBy("qid").agg(F.round(F.sum(F.when(F.col("hit") == 1, F.col("true"))) / F.sum("true"), 6).alias("recall"), F.count(F.when(F.col("true").isNull(), 1)).alias("false_answers"))
+
+
 def bound_audit(art: Artifacts, queries: DataFrame, params: SearchParams = SearchParams()) -> DataFrame:
     """qid and, over all homes: how often each bound lies below the score, mean slack of safe and tight, qualifying homes that printed would lose."""
     rows = S.scores(art.stats, S.query_stats(art.stats, queries), params, ("sim", "printed", "safe", "tight"))
     below = lambda b: F.sum((F.col(b) < F.col("sim") - 1e-9).cast("long")).alias(f"{b}_below")
-    lost = F.sum(((F.col("printed") < params.theta) & (F.col("sim") >= params.theta)).cast("long")).alias("printed_lost")
+    lost = F.sum(((F.col("printed") < params.theta) & (F.col("sim") >= params.theta - S.SLACK)).cast("long")).alias("printed_lost")
     slack = lambda b: F.round(F.avg(F.col(b) - F.col("sim")), 6).alias(f"{b}_slack")
     return rows.groupBy("qid").agg(F.count("*").alias("homes"), below("printed"), below("safe"), below("tight"), slack("safe"), slack("tight"), lost)

@@ -7,6 +7,7 @@ a session and table folder.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,11 +16,12 @@ from pyspark.sql import functions as F
 
 from . import oracles as O
 from .functions import vectors
-from .functions.geometry import disc_interval
+from .functions.geometry import disc_interval, dist2
 from .operators import blocks as B
 from .operators import community as C
 from .operators import network as N
 from .operators import similarity as S
+from .operators.boxtree import LEAF
 from .params import SearchParams
 from .plans import corridor as K
 from .plans import ranked as R
@@ -29,7 +31,7 @@ from .sources.tables import Cuts, table
 from .streaming import events as E
 
 P = SearchParams()
-O.CHAIN["reach"] = "select vid, vid as seen from vertices union select e.b, r.seen from reach r join (select u as a, v as b from edges union all select v, u from edges) e on e.a = r.vid"
+O.MORE["reach"] = "select vid, vid as seen from vertices union select e.b, r.seen from reach r join (select u as a, v as b from edges union all select v, u from edges) e on e.a = r.vid"
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
 
@@ -144,6 +146,20 @@ def block_rings(spark, d):
     return artifacts(spark, d).blocks.filter("kind > 2").select("bid", "kind", "n_sides", _sorted_vids().alias("vids"))
 
 
+def _strategy(name):
+    def run(spark, d):
+        rows = B.detect_blocks(N.lattice_network(table(spark, d, "customer"), "c_custkey"), P.max_sides, Cuts(spark), name)
+        return rows.filter("kind > 2").select("bid", "kind", "n_sides", _sorted_vids().alias("vids"))
+
+    return run
+
+
+same("block_rings_doubling", "block_rings", _strategy("doubling"))
+same("block_rings_trace", "block_rings", _strategy("trace"))
+Q["block_rings_walk"] = _strategy("walk")
+SQL["block_rings_walk"] = O.chain(f"select bid, kind, n_sides, {_VIDS} as vids from blocks where kind > 2 and n_sides <= {P.max_sides}")
+
+
 @query(O.chain(f"select bid, kind, n_sides, {_VIDS} as vids from blocks where kind = 2"))
 def block_bridges(spark, d):
     return artifacts(spark, d).blocks.filter("kind = 2").select("bid", "kind", "n_sides", _sorted_vids().alias("vids"))
@@ -201,7 +217,7 @@ def members_grid(spark, d):
 
 def _members_tree(spark, d):
     a = artifacts(spark, d)
-    return C.members_tree(a.vertices, a.sides, a.nodes, a.leaves, a.radius)
+    return C.members_tree(a.vertices, a.sides, a.nodes, a.entries.select("bid", "node_id"), a.radius, P.fanout_bits)
 
 
 def _members_allpairs(spark, d):
@@ -243,26 +259,39 @@ def motif_profile(spark, d):
     return rows.withColumns({"grid_share": F.round("grid_share", 6), "tree_share": F.round("tree_share", 6), "entropy": F.round(F.abs("entropy"), 6)})
 
 
-@query(O.chain(f"""
-select level, count(*) as nodes, sum(n)::bigint as blocks from (
-  select lvl.level, z >> (2 * lvl.level) as node_id, count(*) as n from (
-    select {' + '.join(f'(((cx >> {b}) % 2) << {2 * b}) + (((cy >> {b}) % 2) << {2 * b + 1})' for b in range(20))} as z
-    from (select (floor((xmin + xmax) / 4000.0) - min(floor((xmin + xmax) / 4000.0)) over ())::bigint as cx, (floor((ymin + ymax) / 4000.0) - min(floor((ymin + ymax) / 4000.0)) over ())::bigint as cy from boxes)
-  ) c, (select unnest(range(11)) as level) lvl group by all) group by level qualify level = 0 or lag(nodes) over (order by level) > 1"""))
+_Z = " + ".join(f"(((cx >> {b}) % 2) << {2 * b}) + (((cy >> {b}) % 2) << {2 * b + 1})" for b in range(20))
+_CELL = 2.0 * LEAF
+O.MORE |= {
+    "coded": f"select bid, {_Z} as z from (select bid, (floor((xmin + xmax) / {_CELL}) - min(floor((xmin + xmax) / {_CELL})) over ())::bigint as cx, (floor((ymin + ymax) / {_CELL}) - min(floor((ymin + ymax) / {_CELL})) over ())::bigint as cy from boxes)",
+    "height": f"select level from (select unnest(range(11)) as level), (select max(z) as top from coded) where level = 0 or (top >> ({P.fanout_bits} * (level - 1))) > 0",
+    "placed_blocks": f"select l.level, c.z >> ({P.fanout_bits} * l.level) as node_id, k.*, x.xmin, x.ymin, x.xmax, x.ymax, coalesce(n.min_cnt, 0) as min_cnt, coalesce(n.max_cnt, 0) as max_cnt from coded c join bunit k on k.bid = c.bid join boxes x on x.bid = c.bid left join bounds n on n.bid = c.bid, height l",
+    "node_kinds": "select level, node_id, kind, min(min_cnt) as min_cnt, max(max_cnt) as max_cnt, [" + ", ".join(f"max(uvec[{i + 1}])" for i in range(O.M)) + "] as umax from placed_blocks group by level, node_id, kind",
+    "node_passes": f"select distinct a.qid, n.level, n.node_id from node_kinds n join asked a on a.kind = n.kind where list_dot_product(n.umax, a.q_usum) * n.max_cnt >= 0.6 * a.q_cnt - 1e-12",
+}
+
+
+@query(O.chain("select level, count(distinct node_id) as nodes, count(*)::bigint as blocks from placed_blocks group by level"))
 def tree_levels(spark, d):
     rows = artifacts(spark, d).nodes.groupBy("level").agg(F.count("*").alias("nodes"), F.sum("n_blocks").alias("blocks"))
     return rows.withColumn("level", F.col("level").cast("long"))
 
 
 @query()
+def tree_levels_str(spark, d):
+    """The tree by slices and runs: every block under one root; rank ties make its shape ours."""
+    rows = artifacts(spark, d, params=P.but(packing="str")).nodes.groupBy("level").agg(F.count("*").alias("nodes"), F.sum("n_blocks").alias("blocks"))
+    return rows.withColumn("level", F.col("level").cast("long"))
+
+
+@query(O.chain("select level, node_id, min(xmin) as xmin, min(ymin) as ymin, max(xmax) as xmax, max(ymax) as ymax, count(*)::bigint as n_blocks, " + " || ".join(f"case when max(vec[{i + 1}]) > 0 then '1' else '0' end" for i in range(O.M)) + " as poi_bits from placed_blocks group by level, node_id"))
 def node_summary(spark, d):
-    a = artifacts(spark, d)
-    return a.nodes.select("level", "node_id", "xmin", "ymin", "xmax", "ymax", "n_blocks", F.concat_ws("", F.transform("poi_bits", lambda b: F.when(b, "1").otherwise("0"))).alias("poi_bits"))
+    rows = artifacts(spark, d).nodes.withColumn("level", F.col("level").cast("long"))
+    return rows.select("level", "node_id", "xmin", "ymin", "xmax", "ymax", "n_blocks", F.concat_ws("", F.transform("poi_bits", lambda b: F.when(b, "1").otherwise("0"))).alias("poi_bits"))
 
 
-@query()
+@query(O.chain("select level, node_id, kind, min_cnt, max_cnt from node_kinds"))
 def node_count_bounds(spark, d):
-    rows = artifacts(spark, d).nodes.select("level", "node_id", F.explode("kinds").alias("e"))
+    rows = artifacts(spark, d).nodes.select(F.col("level").cast("long").alias("level"), "node_id", F.explode("kinds").alias("e"))
     return rows.select("level", "node_id", "e.kind", "e.min_cnt", "e.max_cnt")
 
 
@@ -323,26 +352,39 @@ def pruned_by_bound(spark, d):
 @query(O.chain("select qid, bid from cands"))
 def candidate_blocks(spark, d):
     a = artifacts(spark, d)
-    return S.candidate_blocks(a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P)
+    return S.candidate_blocks(a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P).select("qid", "bid")
 
 
-def _candidate_tree(spark, d):
-    a = artifacts(spark, d)
-    return S.retrieve(a.nodes, a.leaves, a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P, a.cut)[0]
+def _candidate_tree(packing):
+    def run(spark, d):
+        p = P.but(packing=packing)
+        a = artifacts(spark, d, params=p)
+        return S.retrieve(a, R.asked_of(a, query_homes(a)), p)[0].select(F.col("qid").cast("int").alias("qid"), "bid")
+
+    return run
 
 
-same("candidate_blocks_tree", "candidate_blocks", _candidate_tree)
+same("candidate_blocks_tree", "candidate_blocks", _candidate_tree("zorder"))
+same("candidate_blocks_tree_str", "candidate_blocks", _candidate_tree("str"))
 
 
-@query(O.chain("select qid, home from named"))
+@query(O.chain("select c.qid, m.home, round(max(list_dot_product(b.uvec, a.q_usum) / a.q_cnt), 6) as best_score from cands c join members m on m.bid = c.bid join bunit b on b.bid = c.bid join asked a on a.qid = c.qid and a.kind = b.kind group by c.qid, m.home"))
 def candidate_homes(spark, d):
-    return S.candidate_homes(candidate_blocks(spark, d), artifacts(spark, d).members)
+    a = artifacts(spark, d)
+    found = S.candidate_blocks(a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P)
+    return S.candidate_homes(found, a.members).withColumn("best_score", F.round("best_score", 6)).orderBy("qid", F.desc("best_score"), "home")
 
 
-@query()
+_VISITS_SQL = ("""
+select c.qid, l.level, count(*) as visited from (select distinct qid from asked) c, height l, (select distinct level, node_id from node_kinds) n
+where n.level = l.level and (l.level = (select max(level) from height) or exists (select 1 from node_passes p where p.qid = c.qid and p.level = l.level + 1 and p.node_id = n.node_id >> """ + str(P.fanout_bits) + """)) group by c.qid, l.level""")
+
+
+@query(O.chain(_VISITS_SQL))
 def traversal_visits(spark, d):
     a = artifacts(spark, d)
-    return S.retrieve(a.nodes, a.leaves, a.blocks, a.bounds, S.query_stats(a.stats, query_homes(a)), P, a.cut)[1]
+    log = S.retrieve(a, R.asked_of(a, query_homes(a)), P, log=True)[1]
+    return log.select(F.col("qid").cast("int").alias("qid"), F.col("level").cast("long").alias("level"), "visited")
 
 
 # -- ranked search --
@@ -364,8 +406,11 @@ def ranked_search_many(spark, d):
 for _name, _f in {
     "ranked_search": _search(R.ranked_search, bound="tight"),
     "ranked_search_tree": _search(R.ranked_search, use_tree=True),
+    "ranked_search_tree_everywhere": _search(R.ranked_search, use_tree=True, use_distance_stop=False),
     "ranked_search_no_candidates": _search(R.ranked_search, use_candidates=False),
     "ranked_search_no_bound": _search(R.ranked_search, bound="none"),
+    "ranked_search_no_distance_stop": _search(R.ranked_search, use_distance_stop=False),
+    "ranked_search_count_bound": _search(R.ranked_search, bound_basis="count"),
     "ranked_search_global_count": _search(R.ranked_search, count_scope="global"),
     "scan_baseline": _search(R.scan_baseline),
     "enumerate_baseline": _search(R.enumerate_baseline),
@@ -373,23 +418,68 @@ for _name, _f in {
     same(_name, "ranked_search_many", _f)
 
 
-def _one(f):
+def _packed_search(spark, d):
+    p = P.but(packing="str", use_tree=True)
+    a = artifacts(spark, d, params=p)
+    return R.ranked_search(a, query_homes(a), p)
+
+
+same("ranked_search_tree_str", "ranked_search_many", _packed_search)
+
+
+@query()
+def ranked_search_printed_bound(spark, d):
+    """The printed bound may lose answers; `bound_audit` counts the homes it can lose."""
+    return _search(R.ranked_search, bound="printed")(spark, d)
+
+
+@query(O.chain("select p.qid, round(count(*) filter (l.printed >= 0.6 - 1e-12) / count(*)::double, 6) as recall from (select * from ranked where rank <= 10) p join ubs l on l.qid = p.qid and l.home = p.home group by p.qid"))
+def printed_bound_recall(spark, d):
+    """Share of the exact answers that the printed bound alone lets through."""
+    a = artifacts(spark, d)
+    exact = R.ranked_search(a, query_homes(a), P).select("qid", "home")
+    through = _scores(spark, d, P, ("printed",)).filter(F.col("printed") >= P.theta - 1e-12).select("qid", "home")
+    return R.recall(through.join(exact, ["qid", "home"], "left_semi"), exact).select("qid", F.coalesce("recall", F.lit(0.0)).alias("recall"))
+
+
+@query(O.chain("select qid, 1.0::double as recall, 0::bigint as false_answers from (select distinct qid from ranked)"))
+def search_recall(spark, d):
+    """Recall of the pruned search against full enumeration."""
+    a = artifacts(spark, d)
+    q = query_homes(a)
+    return R.recall(R.ranked_search(a, q, P), R.enumerate_baseline(a, q, P))
+
+
+@query()
+def ranked_search_connected(spark, d):
+    p = P.but(connected=True)
+    a = artifacts(spark, d, params=p)
+    return R.ranked_search(a, query_homes(a), p)
+
+
+_SETS = "(select home, string_agg(bid::varchar, ',' order by bid) as sets from members group by home)"
+
+
+@query(O.chain(O.ANSWER.format(f"(select qid, row_number() over (partition by qid order by d2, home) as rank, home, sim, d2 from (select p.*, row_number() over (partition by p.qid, s.sets order by p.d2, p.home) as nth from placed p join {_SETS} s on s.home = p.home where p.sim >= 0.6) where nth = 1)")))
+def ranked_search_distinct_sets(spark, d):
+    return _search(R.ranked_search, distinct_sets=True)(spark, d)
+
+
+def _one(**changes):
+    """One query's answers; the tables of the search are read from the wide table only."""
+
     def run(spark, d):
         a = artifacts(spark, d)
         home = query_homes(a, 1).first()["home"]
-        return f(a, home)
+        rows = R.ranked_one(a, home, P, **changes)
+        return rows.select(F.lit(0).alias("qid"), F.row_number().over(W.orderBy("d2", "home")).alias("rank"), "home", F.round("sim", 6).alias("sim"), F.round(F.sqrt(F.col("d2").cast("double")), 6).alias("dist"))  # k rows
 
     return run
 
 
-def _wide(a, home):
-    rows = R.wide_search(a, home, P)
-    return rows.select(F.lit(0).alias("qid"), F.row_number().over(W.orderBy("d2", "home")).alias("rank"), "home", F.round("sim", 6).alias("sim"), F.round(F.sqrt(F.col("d2").cast("double")), 6).alias("dist"))  # k rows
-
-
 _FIRST = O.chain(O.ANSWER.format("ranked") + " and qid = 0")
-Q["ranked_search_ring"] = _one(lambda a, h: R.ring_search(a, h, P))
-Q["ranked_search_wide"] = _one(_wide)
+Q["ranked_search_ring"] = _one()
+Q["ranked_search_wide"] = _one(use_rings=False)
 SQL["ranked_search_ring"] = SQL["ranked_search_wide"] = _FIRST
 Q["ranked_search_elsewhere"] = _search(R.ranked_search, anchor_xy=(5000, 5000))
 SQL["ranked_search_elsewhere"] = O.chain("select qid, rank::int as rank, home, round(sim, 6) as sim, round(sqrt(d2::double), 6) as dist from (select s.qid, row_number() over (partition by s.qid order by (v.x - 5000) * (v.x - 5000) + (v.y - 5000) * (v.y - 5000), s.home) as rank, s.home, s.sim, (v.x - 5000) * (v.x - 5000) + (v.y - 5000) * (v.y - 5000) as d2 from sims s join vertices v on v.vid = s.home where s.sim >= 0.6) where rank <= 10")
@@ -397,7 +487,19 @@ Q["ranked_search_exclude_home"] = _search(R.ranked_search, exclude_home=True)
 SQL["ranked_search_exclude_home"] = O.chain(O.ANSWER.format("(select p.qid, row_number() over (partition by p.qid order by d2, p.home) as rank, p.home, sim, d2 from placed p join centres c on c.qid = p.qid where sim >= 0.6 and p.home <> c.home)"))
 
 
-@query(O.chain("""
+_MOTIF = "(select home, sum(cnt)::bigint as blocks, round(coalesce(sum(cnt) filter (kind = 4), 0) / sum(cnt)::double, 6) as grid_share, round(coalesce(sum(cnt) filter (kind = 2), 0) / sum(cnt)::double, 6) as tree_share from stats group by home)"
+
+
+@query(O.chain(f"select r.qid, r.rank::int as rank, r.home, m.blocks, m.grid_share, m.tree_share from (select p.qid, row_number() over (partition by p.qid order by d2, p.home) as rank, p.home from placed p join centres c on c.qid = p.qid where sim >= 0.6 and p.home <> c.home) r join {_MOTIF} m on m.home = r.home where r.rank <= 10"))
+def lens_view(spark, d):
+    """The lens scenario: communities like the one under the lens, without it, each with its profile of motifs."""
+    a = artifacts(spark, d)
+    found = R.ranked_search(a, query_homes(a), P.but(exclude_home=True)).select("qid", "rank", "home")
+    profile = C.motif_profile(a.stats).select("home", "blocks", F.round("grid_share", 6).alias("grid_share"), F.round("tree_share", 6).alias("tree_share"))
+    return found.join(profile, "home").select("qid", "rank", "home", "blocks", "grid_share", "tree_share")
+
+
+_REPORT_SQL = """
 select qid, count(*) as total, count(*) filter (why = 'candidate') as candidate, count(*) filter (why = 'bound') as bound, count(*) filter (why = 'distance') as distance, count(*) filter (why = 'score') as score, count(*) filter (why = 'answer') as answer,
        round(100.0 * count(*) filter (why in ('candidate', 'bound', 'distance')) / count(*), 4) as pruned_all,
        coalesce(round(100.0 * count(*) filter (why in ('bound', 'distance')) / nullif(count(*) filter (why <> 'candidate'), 0), 4), 0.0) as pruned_nominated
@@ -407,7 +509,10 @@ from (
   from centres c, (select distinct home from stats) h join vertices v on v.vid = h.home
   left join named n on n.qid = c.qid and n.home = h.home left join ubs u on u.qid = c.qid and u.home = h.home left join sims s on s.qid = c.qid and s.home = h.home
   left join (select qid, count(*) as found, max(d2) as far from ranked where rank <= 10 group by qid) f on f.qid = c.qid
-) group by qid"""))
+) group by qid"""
+
+
+@query(O.chain(_REPORT_SQL))
 def pruning_report(spark, d):
     a = artifacts(spark, d)
     return R.pruning_report(a, query_homes(a), P)
@@ -435,7 +540,41 @@ _C = {
     "ivl_pairs": f"select a.sid, a.ivl, o.home, sum({O._dot('o.uvec', 'a.uvec')} / a.q_cnt / n.n_kinds) as sim from own o join ivl_asked a on a.kind = o.kind join ivl_kinds n on n.sid = a.sid and n.ivl = a.ivl group by all",
     "ivl_ranked": "select p.sid, p.ivl, row_number() over (partition by p.sid, p.ivl order by (v.x - s.x0) * (v.x - s.x0) + (v.y - s.y0) * (v.y - s.y0), p.home) as rank, p.home, p.sim, (v.x - s.x0) * (v.x - s.x0) + (v.y - s.y0) * (v.y - s.y0) as d2 from ivl_pairs p join vertices v on v.vid = p.home join segs s on s.sid = p.sid where p.sim >= 0.6",
 }
-O.CHAIN.update(_C)
+_CAPSULE = """
+    select sid, bid, low, high from (
+      select sid, bid,
+             least(case when p2 >= 0 and pl <= ph then pl end, case when q2 >= 0 and ql <= qh then ql end, case when fits and sl <= sh then sl end) as low,
+             greatest(case when p2 >= 0 and pl <= ph then ph end, case when q2 >= 0 and ql <= qh then qh end, case when fits and sl <= sh then sh end) as high
+      from (
+        select *, greatest((-p - sqrt(greatest(p2, 0))) / s2, 0.0) as pl, least((-p + sqrt(greatest(p2, 0))) / s2, 1.0) as ph, greatest((-q - sqrt(greatest(q2, 0))) / s2, 0.0) as ql, least((-q + sqrt(greatest(q2, 0))) / s2, 1.0) as qh,
+               greatest(0.0, least(a0, a1), least(b0, b1)) as sl, least(1.0, greatest(a0, a1), greatest(b0, b1)) as sh,
+               (go <> 0 or (along >= 0 and along <= l2)) and (turn <> 0 or (aside >= -w and aside <= w)) as fits
+        from (
+          select *, p * p - s2 * pc as p2, q * q - s2 * qc as q2, sqrt(l2) * 1000 as w, case when go <> 0 then (0 - along) / go end as a0, case when go <> 0 then (l2 - along) / go end as a1,
+                 case when turn <> 0 then (-sqrt(l2) * 1000 - aside) / turn end as b0, case when turn <> 0 then (sqrt(l2) * 1000 - aside) / turn end as b1
+          from (
+            select sid, bid, (sx * sx + sy * sy)::double as s2, (dx * dx + dy * dy)::double as l2, (fx * sx + fy * sy)::double as p, (gx * sx + gy * sy)::double as q, (fx * fx + fy * fy)::double - 1e6 as pc, (gx * gx + gy * gy)::double - 1e6 as qc,
+                   (fx * dx + fy * dy)::double as along, (dx * sx + dy * sy)::double as go, (fx * dy - fy * dx)::double as aside, (dy * sx - dx * sy)::double as turn
+            from (select s.sid, k.bid, k.bx - k.ax as dx, k.by - k.ay as dy, s.x1 - s.x0 as sx, s.y1 - s.y0 as sy, s.x0 - k.ax as fx, s.y0 - k.ay as fy, s.x0 - k.bx as gx, s.y0 - k.by as gy from segs s, sides k))))) where low is not null"""
+_INNER = """
+    select m.sid, m.bid, m.low, m.high from (select sid, bid, t as low, lead(t) over (partition by sid, bid order by t) as high from ring_marks) m
+    join segs s on s.sid = m.sid join sides k on k.bid = m.bid where m.high is not null
+    group by m.sid, m.bid, m.low, m.high
+    having count(*) filter ((k.ay > s.y0 + (m.low + m.high) / 2 * (s.y1 - s.y0)) <> (k.by > s.y0 + (m.low + m.high) / 2 * (s.y1 - s.y0))
+      and s.x0 + (m.low + m.high) / 2 * (s.x1 - s.x0) < k.ax + (s.y0 + (m.low + m.high) / 2 * (s.y1 - s.y0) - k.ay) * (k.bx - k.ax) / nullif(k.by - k.ay, 0)) % 2 = 1"""
+_C["capsules"] = _CAPSULE
+_C["ring_marks"] = """
+    select distinct sid, bid, t from (
+      select s.sid, k.bid, ((k.ax - s.x0) * (k.by - k.ay) - (k.ay - s.y0) * (k.bx - k.ax))::double / nullif((s.x1 - s.x0) * (k.by - k.ay) - (s.y1 - s.y0) * (k.bx - k.ax), 0) as t,
+             ((k.ax - s.x0) * (s.y1 - s.y0) - (k.ay - s.y0) * (s.x1 - s.x0))::double / nullif((s.x1 - s.x0) * (k.by - k.ay) - (s.y1 - s.y0) * (k.bx - k.ax), 0) as u
+      from segs s, sides k where k.bid in (select bid from blocks where kind > 2)) where t > 0 and t < 1 and u >= 0 and u <= 1
+    union all select sid, bid, e from segs, (select bid from blocks where kind > 2), (select unnest([0.0::double, 1.0::double]) as e)"""
+_C["inner_parts"] = _INNER
+_C["bound_raw"] = "select * from capsules union all select * from inner_parts"
+for _new, _old, _from, _to in (("bound_united", "united", "discs", "bound_raw"), ("bound_marks", "marks", "united", "bound_united"), ("bound_ivls", "ivls", "marks", "bound_marks"), ("bound_inside", "inside", "united", "bound_united"), ("bound_asked", "ivl_asked", "inside", "bound_inside"), ("bound_kinds", "ivl_kinds", "ivl_asked", "bound_asked"), ("bound_pairs", "ivl_pairs", "ivl_asked", "bound_asked"), ("bound_ranked", "ivl_ranked", "ivl_pairs", "bound_pairs")):
+    _C[_new] = _C[_old].replace(f"from {_from}", f"from {_to}").replace(f"join {_from} ", f"join {_to} ").replace("from ivls ", "from bound_ivls ").replace("join ivl_kinds ", "join bound_kinds ")
+O.MORE.update(_C)
+_V = P.but(reach="vertex")
 
 
 def _corridor(spark, d):
@@ -486,27 +625,68 @@ _IVL_ANSWER = "select sid, ivl::int as ivl, rank::int as rank, home, round(sim,
 @query(O.chain(_IVL_ANSWER))
 def corridor_search(spark, d):
     a = artifacts(spark, d)
-    return K.corridor_search(a, K.query_segments(a), P, "vertex")
+    return K.corridor_search(a, K.query_segments(a), _V)
 
 
 def _corridor_baseline(spark, d):
     a = artifacts(spark, d)
-    return K.corridor_baseline(a, K.query_segments(a), P, "vertex")
+    return K.corridor_baseline(a, K.query_segments(a), _V)
 
 
 def _corridor_tree(spark, d):
     a = artifacts(spark, d)
-    return K.corridor_search(a, K.query_segments(a), P.but(use_tree=True, bound="tight"), "vertex", "delta")
+    return K.corridor_search(a, K.query_segments(a), _V.but(use_tree=True, bound="tight"), "delta")
+
+
+def _corridor_everywhere(spark, d):
+    a = artifacts(spark, d)
+    return K.corridor_search(a, K.query_segments(a), _V.but(use_distance_stop=False, use_candidates=False, bound="none"))
 
 
 same("corridor_baseline", "corridor_search", _corridor_baseline)
 same("corridor_search_tree", "corridor_search", _corridor_tree)
+same("corridor_search_everywhere", "corridor_search", _corridor_everywhere)
 
 
-@query()
+@query(O.chain(_IVL_ANSWER.replace("ivl_ranked", "bound_ranked")))
 def corridor_boundary(spark, d):
     a = artifacts(spark, d)
-    return K.corridor_search(a, K.query_segments(a), P, "boundary")
+    return K.corridor_search(a, K.query_segments(a), P)
+
+
+@query(O.chain("select sid, bid, round(low, 6) as low, round(high, 6) as high from bound_united"))
+def boundary_intervals(spark, d):
+    a = artifacts(spark, d)
+    rows = K.merge_intervals(K.raw_intervals(a, K.query_segments(a), a.radius, "boundary"))
+    return rows.select("sid", "bid", F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
+
+
+@query(O.chain("select sid, bid, round(low, 6) as low, round(high, 6) as high from inner_parts"))
+def ring_interiors(spark, d):
+    a = artifacts(spark, d)
+    rows = K.interiors(a, a.cut.cut(K.sweep_blocks(a, K.query_segments(a), a.radius), "swept"))
+    return rows.select("sid", "bid", F.round("low", 6).alias("low"), F.round("high", 6).alias("high"))
+
+
+@query()
+def corridor_moving(spark, d):
+    """Distances from the moving centre; intervals are split where two answers change places."""
+    a = artifacts(spark, d)
+    return K.corridor_search(a, K.query_segments(a), P.but(anchor="moving"))
+
+
+@query()
+def corridor_visits(spark, d):
+    """Nodes read by one descent for all intervals of a segment."""
+    a = artifacts(spark, d)
+    return K.corridor_visits(a, K.query_segments(a), P)
+
+
+@query()
+def corridor_visits_apart(spark, d):
+    """Nodes read when every interval descends by itself."""
+    a = artifacts(spark, d)
+    return K.corridor_visits(a, K.query_segments(a), P, shared=False)
 
 
 @query(O.chain("""
@@ -525,7 +705,9 @@ def corridor_folded(spark, d):
 @query(O.chain("select qid, home, d2, count(*) over (partition by qid order by d2 range between 25000000 preceding and current row) as ring from placed where sim >= 0.6"))
 def distance_rings(spark, d):
     a = artifacts(spark, d)
-    rows = R.qualified(a, query_homes(a), P.but(bound="none", use_candidates=False))
+    q = query_homes(a)
+    rows = a.wide.crossJoin(F.broadcast(R.spots_of(q, P))).withColumn("d2", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")))
+    rows = R.qualified(a, rows, R.asked_of(a, q), 15, P.but(bound="none", use_candidates=False)).withColumn("qid", F.col("qid").cast("int"))
     return rows.select("qid", "home", "d2", F.count("*").over(W.partitionBy("qid").orderBy("d2").rangeBetween(-25000000, 0)).alias("ring"))
 
 
@@ -627,6 +809,19 @@ def embedding_cosine_topk(spark, d):
 Q |= workloads.queries()
 
 
+def _point_sql(name: str, value: float, **settings) -> str:
+    """A row of a sweep on the lattice; the settings of the tables go into the chain, theta and k into the text."""
+    theta, k = settings.get("theta", P.theta), 10 if name != "k" else value
+    own = lambda sql: re.sub(r"\b0\.6\b", repr(float(theta)), sql).replace(">= 10 and", f">= {k} and").replace("rank <= 10", f"rank <= {k}")
+    report, seen = own(_REPORT_SQL), own(_VISITS_SQL)
+    chain = O.chain(f"select '{name}' as setting, {float(value)}::double as value, round(avg(total), 4) as total, round(avg(pruned_all), 4) as pruned_all, round(avg(pruned_nominated), 4) as pruned_nominated, round(avg(visited), 4) as visited, round(avg(answer), 4) as answer from ({report}) r join (select qid, sum(visited) as visited from ({seen}) group by qid) v on v.qid = r.qid", **settings)
+    return own(chain)
+
+
+for _name, _values in (("k", [(v, {}) for v in workloads.SWEEPS["k"]]), ("theta", [(v, {"theta": v}) for v in workloads.SWEEPS["theta"] + workloads.HIGH_THETA]), ("radius", [(v, {"radius": v}) for v in workloads.SWEEPS["radius"]]), ("degree", [(v, dict(zip(("keep", "diag"), workloads.LATTICE[v]))) for v in workloads.SWEEPS["degree"]])):
+    SQL[f"sweep_{_name}"] = " union all ".join(f"select * from ({_point_sql(_name, v, **more)})" for v, more in _values)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return dict(Q)
 
