@@ -33,11 +33,11 @@ from pyspark.sql import functions as F
 from .common import Workspace, documents, gather_spans, mix, schema, text_or_empty, window_codes, word_codes, word_spans
 
 SIZE, INNER = 13, 3
-CHUNK_BYTES = 4_000_000
-#: Words a bucket is planned for; a bucket's task holds about 80 bytes a window. One with more windows than `HOT` times that is split.
-BUCKET_WORDS, HOT = 1_000_000, 3
+CHUNK_BYTES = 3_000_000
+#: Words a bucket is planned for; a bucket's task holds about 100 bytes a window. One with more windows than `HOT` times that is split.
+BUCKET_WORDS, HOT = 400_000, 2
 #: Bytes of windows that are compared word for word at once.
-COMPARED = 4_000_000
+COMPARED = 2_000_000
 NO_ID, NONE = np.iinfo(np.int64).min, np.iinfo(np.int64).max
 #: Shorter strings aren't compressed.
 SHORT = 256
