@@ -31,7 +31,7 @@ VOCABULARY, DIMS, HIDDEN, SIGNS = 20_000, 64, 16, 6
 THRESHOLD = 0.7
 SAME = "\0same"
 #: Words that a worker remembers; beyond it the table starts anew.
-REMEMBER = 200_000
+REMEMBER = 50_000
 #: Characters of text that a task scores at once.
 BLOCK = 500_000
 
@@ -62,8 +62,13 @@ class Model:
     temperature: float
 
     def __post_init__(self):
+        self.forget()
+
+    def forget(self) -> None:
+        """Drop the words this worker remembers, and what Arrow keeps for reuse: workers live on in later stages."""
         self._words: dict[str, int] = {}
         self._pairs: list[tuple[int, int]] = []
+        pa.default_memory_pool().release_unused()
 
     def _rows(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Number of each word in this worker's table, words of each text, and the table's token rows."""
@@ -209,6 +214,7 @@ def score_documents(docs: DataFrame, model: Model) -> DataFrame:
             for part in blocks(texts, [len(t) for t in texts], BLOCK):
                 score = sent.value.score(texts[part])
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(part.start, len(score)), pa.array(score)], names=out.names)
+        sent.value.forget()
 
     return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(run, out)
 
@@ -223,6 +229,7 @@ def keep_quality(docs: DataFrame, model: Model, threshold: float = THRESHOLD) ->
             score = [sent.value.score(texts[part]) for part in blocks(texts, [len(t) for t in texts], BLOCK)]
             if texts:
                 yield batch.filter(pa.array(np.concatenate(score) >= threshold))
+        sent.value.forget()
 
     return docs.mapInArrow(run, docs.schema)
 
