@@ -1,6 +1,7 @@
 """Steps that large networks need: the same results as the plain forms, without their cost."""
 
 import math
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -50,3 +51,19 @@ def test_crossings_of_links_of_all_lengths(spark):
         return turn(a, b, c) * turn(a, b, d) < 0 and turn(c, d, a) * turn(c, d, b) < 0 or on(a, b, c) or on(a, b, d) or on(c, d, a) or on(c, d, b)
 
     assert {tuple(r) for r in found.collect()} == {(s[0], t[0]) for s in rows for t in rows if (t[3], t[0]) < (s[3], s[0]) and cross(s, t)}
+
+
+def test_links_and_crossings_meet_over_the_borders_of_squares(spark, monkeypatch):
+    monkeypatch.setattr(N, "TILE_CELLS", 2)
+    monkeypatch.setattr(N, "PAIRS", 50)
+    rng = random.Random(5)
+    at = {i: (rng.randrange(-4000, 5000), rng.randrange(-4000, 4000)) for i in range(150)}
+    vertices = spark.createDataFrame([(i, *p) for i, p in at.items()], "vid long, x long, y long")
+    d2 = lambda i, j: (at[i][0] - at[j][0]) ** 2 + (at[i][1] - at[j][1]) ** 2
+    best = {i: sorted((d2(i, j), j) for j in at if j != i and d2(i, j) <= 2000**2)[:3] for i in at}
+    true = {(min(i, j), max(i, j), d) for i, near in best.items() for d, j in near}
+    links = N.near_links(vertices, 3, 2000).cache()
+    assert sorted((r["u"], r["v"], r["d2"]) for r in links.collect()) == sorted(true)
+    found = sorted(map(tuple, N.crossings(links, vertices, 2000).collect()))
+    monkeypatch.setattr(N, "TILE_CELLS", 1000)
+    assert found and found == sorted(map(tuple, N.crossings(links, vertices, 2000).collect()))
