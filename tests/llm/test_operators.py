@@ -378,3 +378,13 @@ def test_quality(spark, empty):
     assert {r["doc_id"] for r in kept.collect()} - {500, 501} == {i for i in range(240) if i % 3}
     lone = quality.fit_from(empty, labels, F.lit(True))
     assert quality.score_documents(empty, lone).count() == 0
+
+
+def test_rows_of_the_store_name_the_chunks_they_borrow(spark):
+    passage = " ".join(f"word{i} other{i * 7}" for i in range(3000))
+    docs = spark.createDataFrame([(1, passage), (2, "a start " + passage), (3, "alone"), (4, None)], "doc_id long, text string")
+    store = tokenstore.TokenStore(Workspace(spark, "borrow")).write(docs, tokenstore.vocabulary_path("byte_bpe_50k.json"))
+    rows = {r["doc_id"]: r for r in store.read("documents").collect()}
+    assert rows[2]["away"] and all(r["away"] is None for k, r in rows.items() if k != 2)
+    assert sorted(rows[2]["away"]) == [i for i, x in enumerate(rows[2]["ids"]) if x is None]
+    assert all(r["whole"] for r in store.check().collect())
