@@ -67,3 +67,16 @@ def test_links_and_crossings_meet_over_the_borders_of_squares(spark, monkeypatch
     found = sorted(map(tuple, N.crossings(links, vertices, 2000).collect()))
     monkeypatch.setattr(N, "TILE_CELLS", 1000)
     assert found and found == sorted(map(tuple, N.crossings(links, vertices, 2000).collect()))
+
+
+def test_all_pairs_by_runs_of_neighbours(spark):
+    from blockmatch.operators import community as C
+
+    rng = random.Random(7)
+    homes = [(i, rng.randrange(-9000, 9000), rng.randrange(-9000, 9000)) for i in range(300)]
+    sides = [(i % 170, *(a := (rng.randrange(-9000, 9000), rng.randrange(-9000, 9000))), a[0] + rng.randrange(-900, 900), a[1] + rng.randrange(-900, 900)) for i in range(400)]
+    v, s = spark.createDataFrame(homes, "vid long, x long, y long"), spark.createDataFrame(sides, "bid long, ax long, ay long, bx long, by long")
+    found = C.members_allpairs(v, s, 1000)
+    assert "hrows" in found._jdf.queryExecution().optimizedPlan().toString()
+    plain = v.withColumnRenamed("vid", "home").join(s, C._touch(1000)).select("home", "bid").distinct()
+    assert found.count() > 300 and sorted(map(tuple, found.collect())) == sorted(map(tuple, plain.collect()))
