@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Workspace, blocks, documents, mix, schema, text_or_empty, window_codes, word_codes, word_spans
+from .common import Workspace, blocks, documents, mix, schema, text_or_empty, tidy, window_codes, word_codes, word_spans
 
 SHINGLE, THRESHOLD = 5, 75
 BUCKETS, MANTISSA, ROWS = 128, 10, 4
@@ -159,7 +159,7 @@ def sketches(docs: DataFrame) -> DataFrame:
                 mark = [next(marks) if len(s) else None for s in sets]
                 yield pa.RecordBatch.from_arrays([pa.array(ids[part], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(set_id, pa.binary()), pa.array(reg, pa.binary()), pa.array(mark, pa.list_(pa.int64()))], names=out.names)
 
-    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(run, out)
+    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(tidy(run), out)
 
 
 def only(df: DataFrame, column: str, ids: DataFrame, how: str = "left_semi") -> DataFrame:
@@ -183,7 +183,7 @@ def _sets(docs: DataFrame) -> DataFrame:
                 edges = pa.array(np.cumsum([0] + [len(s) for s in sets]), pa.int32())
                 yield pa.RecordBatch.from_arrays([pa.array(ids[part], pa.int64()), pa.ListArray.from_arrays(edges, flat)], names=out.names)
 
-    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(run, out)
+    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(tidy(run), out)
 
 
 def likely(pairs: DataFrame, facts: DataFrame) -> DataFrame:
@@ -205,7 +205,7 @@ def likely(pairs: DataFrame, facts: DataFrame) -> DataFrame:
             keep = pa.array(estimate(*r, *n) >= t - slack)
             yield pa.RecordBatch.from_arrays([b.column("a").filter(keep), b.column("b").filter(keep)], names=out.names)
 
-    return rows.select("a", "b", "n_a", "n_b", "r_a", "r_b").mapInArrow(run, out)
+    return rows.select("a", "b", "n_a", "n_b", "r_a", "r_b").mapInArrow(tidy(run), out)
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, ws: Workspace, name: str) -> DataFrame:

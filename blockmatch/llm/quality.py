@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import blocks, documents, fold, schema, text_or_empty
+from .common import blocks, documents, fold, schema, text_or_empty, tidy
 
 #: Bound of the fitting sample: labelled documents, each with its whole text.
 SAMPLE_DOCS = 3000
@@ -216,7 +216,7 @@ def score_documents(docs: DataFrame, model: Model) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(part.start, len(score)), pa.array(score)], names=out.names)
         sent.value.forget()
 
-    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(run, out)
+    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(tidy(run), out)
 
 
 def keep_quality(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
@@ -231,7 +231,7 @@ def keep_quality(docs: DataFrame, model: Model, threshold: float = THRESHOLD) ->
                 yield batch.filter(pa.array(np.concatenate(score) >= threshold))
         sent.value.forget()
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)
 
 
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
