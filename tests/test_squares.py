@@ -67,3 +67,19 @@ def test_parts_of_a_network_are_found_once(spark, monkeypatch):
     monkeypatch.setattr(A, "_BUILT", {})
     rows = Wl.ranked_sweep(spark, SF, "radius", "uniform", [500, 1000]).collect()
     assert [r["value"] for r in rows] == [500, 1000] and len(calls) == 1
+
+
+def test_directions_that_differ_in_their_last_bits(spark, tmp_path):
+    from blockmatch.operators import blocks as B
+    from blockmatch.operators.network import Network
+    from blockmatch.sources.tables import Cuts
+
+    at = {0: (0, 0)} | {i: (10**9 - 7 * i % 11, i % 3 - 1) for i in range(1, 12)} | {12 + i: (-(10**9) + i, 0) for i in range(3)}
+    links = [(0, i) for i in range(1, 15)] + [(i, i + 1) for i in range(1, 11)] + [(12, 13), (13, 14)]
+    vertices = spark.createDataFrame([(k, *p) for k, p in at.items()], "vid long, x long, y long")
+    edges = spark.createDataFrame([(e, *uv) for e, uv in enumerate(links)], "eid long, u long, v long")
+    found = {}
+    for strategy in ("trace", "doubling"):
+        rows = B.detect_blocks(Network(vertices, edges), 8, Cuts(spark, f"file://{tmp_path}"), strategy).collect()
+        found[strategy] = sorted((r["bid"], r["n_sides"], r["vids"], r["eids"]) for r in rows)
+    assert found["trace"] and found["trace"] == found["doubling"]
