@@ -83,3 +83,18 @@ def test_directions_that_differ_in_their_last_bits(spark, tmp_path):
         rows = B.detect_blocks(Network(vertices, edges), 8, Cuts(spark, f"file://{tmp_path}"), strategy).collect()
         found[strategy] = sorted((r["bid"], r["n_sides"], r["vids"], r["eids"]) for r in rows)
     assert found["trace"] and found["trace"] == found["doubling"]
+
+
+def test_boxes_and_sides_without_looking_up_vertices(spark, tmp_path):
+    from blockmatch.operators import blocks as B
+    from blockmatch.sources.tables import Cuts
+
+    net = A.base_of(spark, SF, "d", dist="cluster").net
+    for strategy in ("trace", "doubling"):
+        found = B.detect_blocks(net, 8, Cuts(spark, f"file://{tmp_path}/{strategy}"), strategy, places=True).localCheckpoint()
+        plain = found.drop("xs", "ys")
+        assert "xs" in found.columns and {2, 3} <= {r["kind"] for r in plain.collect()}
+        assert rows_of(B.block_sides(found, net.vertices)) == rows_of(B.block_sides(plain, net.vertices))
+        names = B.describe_blocks(plain, net).columns
+        with_places = B.describe_blocks(found, net)
+        assert sorted(with_places.columns) == sorted(names) and rows_of(with_places.select(names)) == rows_of(B.describe_blocks(plain, net))
