@@ -64,3 +64,28 @@ def test_communities_without_a_shared_kind_have_no_sum(art, small):
     assert {r["home"] for r in found.collect()} == {r["home"] for r in have.collect()} and have.count() < art.wide.count()
     none = S.pair_sums(art.members, art.blocks, S.asked_blocks(parts.filter(F.lit(False)), art.blocks, SearchParams()), SearchParams(), art.m, art.wide)
     assert none.collect() == []
+
+
+def test_short_walks_leave_the_rounds(spark, tmp_path):
+    """Walks of 1 to 90 half-edges, labelled step by step; the last rounds hold the long ones alone."""
+    from blockmatch.operators import blocks as B
+    from blockmatch.sources.tables import Cuts
+
+    sizes, links, want, low = [1, 2, 3, 3, 4, 5, 7, 8, 9, 16, 17, 90], [], [], 0
+    for n in sizes:
+        walk = [low + i * 37 % n if n not in (1, 2) else low + i for i in range(n)]
+        at = walk.index(low)
+        links += [(walk[i], walk[(i + 1) % n]) for i in range(n)]
+        want += [(walk[i], walk[(i + 1) % n], low, (i - at) % n, n) for i in range(n)]
+        low += n
+    cuts, seen, real = Cuts(spark, f"file://{tmp_path}"), [], Cuts.cut
+
+    def cut(df, name="t"):
+        out = real(cuts, df, name)
+        seen.extend([out.count()] if name == "orbit" else [])
+        return out
+
+    cuts.cut = cut
+    found = B.label_orbits(spark.createDataFrame(links, "hid long, nxt long"), cuts)
+    assert sorted((r["hid"], r["nxt"], r["orbit"], r["place"], r["size"]) for r in found.collect()) == sorted(want)
+    assert seen[0] == sum(sizes) and 90 in seen and seen[-1] == 0
